@@ -69,11 +69,12 @@ def contained_items(docs: DataFrame, items: DataFrame) -> DataFrame:
     if top is None:
         return spark.createDataFrame([], "doc_id long, item_id long, n_item long, n_common long, containment double")
     side = F.broadcast(sketch) if small_enough(sketch, BROADCAST_ROWS) else sketch
-    row = docs.select("doc_id", "text")
-    low = F.filter(_per_shingle(words(F.col("text")), hashed), lambda h: h <= F.lit(top))
+    row = docs.select("doc_id", words(F.col("text")).alias("w"))
+    low = F.filter(_per_shingle(F.col("w"), hashed), lambda h: h <= F.lit(top))
     found = cut(row.select("doc_id", F.explode(low).alias("h")).join(side, "h").select("doc_id", "item_id").distinct(), "candidates")
     chosen = found.select("doc_id").distinct()
-    whole = row.join(chosen, "doc_id", "left_semi").select("doc_id", F.explode(_per_shingle(words(F.col("text")), spelled)).alias("s"))
+    held = docs.select("doc_id", "text").join(chosen, "doc_id", "left_semi").select("doc_id", words(F.col("text")).alias("w"))
+    whole = held.select("doc_id", F.explode(_per_shingle(F.col("w"), spelled)).alias("s"))
     parts = sets.select("item_id", F.size("spelled").cast("long").alias("n_item"), F.explode("spelled").alias("s"))
     parts = F.broadcast(parts) if small_enough(parts, BROADCAST_ROWS) else parts
     both = whole.join(parts, "s").join(found, ["doc_id", "item_id"], "left_semi").select("doc_id", "item_id", "n_item", "s").distinct()

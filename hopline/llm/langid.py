@@ -165,7 +165,7 @@ def identify(docs: DataFrame, sample: int = SAMPLE) -> DataFrame:
     return predict(docs, fit(docs, sample))
 
 
-def keep_identified(docs: DataFrame, least: float = 0.5) -> DataFrame:
+def keep_identified(docs: DataFrame, least: float = 0.3) -> DataFrame:
     """Documents whose language is found with at least ``least`` probability."""
     names = docs.columns
     return predict(docs.select(names), fit(docs), names).where((F.col("lang_pred") != UNDETERMINED) & (F.col("score") >= least)).select(*names)
