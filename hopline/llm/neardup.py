@@ -11,8 +11,8 @@
 4. What a star can't decide is decided between components only: buckets whose members lie in several components
    compare the members outside the bucket's largest component with all members. Small buckets do so by an equi-join;
    large ones are cut into blocks of ``BLOCK`` x ``BLOCK`` members that are compared with numpy, first with each
-   member's best partner only (which joins most components), then with all surviving partners. No bucket is capped
-   and no pair within a component is emitted.
+   member's best partner only (which joins most components), then with all surviving partners, confirmed on the spot
+   so that only links leave the block. No bucket is capped and no pair within a component is compared.
 5. Links are closed to components by minimum-label propagation with pointer jumping.
 
 Defined cases: null or blank texts have no shingles, link with nothing and are kept, each its own component; a null
@@ -130,13 +130,7 @@ def _confirm(num: int, den: int):
             keep = []
             left, right = batch.column("items_a"), batch.column("items_b")
             for k in range(batch.num_rows):
-                x, y = (np.frombuffer(side[k].as_buffer(), np.uint64) for side in (left, right))
-                if len(x) > len(y):
-                    x, y = y, x
-                at = np.searchsorted(y, x)
-                at[at == len(y)] = 0
-                both = int((y[at] == x).sum()) if len(y) else 0
-                if den * both >= num * (len(x) + len(y) - both):
+                if _is_link(*(np.frombuffer(side[k].as_buffer(), np.uint64) for side in (left, right)), num, den):
                     keep.append(k)
             index = pa.array(keep, pa.int64())
             yield pa.RecordBatch.from_arrays([batch.column("a").take(index), batch.column("b").take(index)], names=["a", "b"])
@@ -144,8 +138,18 @@ def _confirm(num: int, den: int):
     return run
 
 
-def _blocks(threshold: float, best_only: bool):
-    """Compares the members outside the largest component (role 0) with a block of members (role 1)."""
+def _is_link(x: np.ndarray, y: np.ndarray, num: int, den: int) -> bool:
+    if len(x) > len(y):
+        x, y = y, x
+    at = np.searchsorted(y, x)
+    at[at == len(y)] = 0
+    both = int((y[at] == x).sum()) if len(y) else 0
+    return den * both >= num * (len(x) + len(y) - both)
+
+
+def _blocks(threshold: float, num: int, den: int, best_only: bool):
+    """Compares the members outside the largest component (role 0) with a block of members (role 1): each one's best
+    partner, or all partners that survive and are confirmed on the full sets, which then come along."""
     least, bands = least_matches(threshold), BANDS
 
     def run(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
@@ -155,6 +159,7 @@ def _blocks(threshold: float, best_only: bool):
             matrix = np.stack([np.frombuffer(x, np.uint32) for x in second.sig])
             band = int(second.band.iloc[0])
             grid = matrix.reshape(len(matrix), bands, -1)
+            sets = None if best_only else second["items"].to_numpy()
             ids, comps, sizes = second.cls.to_numpy(), second.comp.to_numpy(), second.n.to_numpy()
             for x in first.itertuples(index=False):
                 other = np.flatnonzero((comps != x.comp) & (np.minimum(sizes, x.n) >= threshold * np.maximum(sizes, x.n)))
@@ -167,7 +172,9 @@ def _blocks(threshold: float, best_only: bool):
                     other = other[[int(np.argmax(count))]]
                 elif len(other):  # each pair only in the first band that it shares
                     shared = (grid[other] == mine.reshape(1, bands, -1)).all(axis=2)
+                    own = np.frombuffer(x.items, np.uint64)
                     other = other[shared.argmax(axis=1) == band]
+                    other = other[[_is_link(own, np.frombuffer(sets[k], np.uint64), num, den) for k in other]] if len(other) else other
                 if len(other):
                     found.append(pd.DataFrame({"a": np.minimum(ids[other], x.cls), "b": np.maximum(ids[other], x.cls)}))
         return pd.concat(found) if found else pd.DataFrame({"a": pd.Series(dtype="int64"), "b": pd.Series(dtype="int64")})
@@ -214,15 +221,16 @@ class NearDuplicates:
         return member.where(F.col("size") <= SMALL), member.where(F.col("size") > SMALL)
 
     def _across(self, large: DataFrame, best_only: bool) -> DataFrame:
-        """Surviving pairs between components of large buckets, by blocks."""
+        """By blocks of large buckets: the best pair of each member outside, or all confirmed links."""
         row = large.join(self.classes.select("cls", "sig", "n"), "cls")
+        row = row if best_only else row.join(self.items, "cls")
         outside = F.greatest(F.lit(1), F.ceil((F.col("all") - F.col("most")) / BLOCK)).cast("int")
         inside = F.ceil(F.col("all") / BLOCK).cast("int")
-        keep = ["bucket", "band", "cls", "comp", "sig", "n"]
+        keep = ["bucket", "band", "cls", "comp", "sig", "n", *([] if best_only else ["items"])]
         first = row.where("comp <> main").select(*keep, F.lit(0).alias("role"), F.pmod(F.xxhash64("cls", F.lit(1)), outside).alias("i"), F.explode(F.sequence(F.lit(0), inside - 1)).alias("j"))
         second = row.select(*keep, F.lit(1).alias("role"), F.explode(F.sequence(F.lit(0), outside - 1)).alias("i"), F.pmod(F.xxhash64("cls", F.lit(2)), inside).alias("j"))
         both = first.select(second.columns).unionByName(second).select(*keep, "role", F.col("i").cast("long"), F.col("j").cast("long"))
-        return both.groupBy("bucket", "band", "i", "j").applyInPandas(_blocks(self.threshold, best_only), "a long, b long").distinct()
+        return both.groupBy("bucket", "band", "i", "j").applyInPandas(_blocks(self.threshold, self.num, self.den, best_only), "a long, b long").distinct()
 
     def labels(self) -> DataFrame:
         """(cls, comp) for classes that are linked with another class."""
@@ -244,7 +252,7 @@ class NearDuplicates:
         pairs = x.join(y, ["bucket", "band"]).where("a < b and comp_a <> comp_b").select("a", "b").distinct().join(tried, ["a", "b"], "left_anti")
         links = links.unionByName(self._links(pairs))
         if hot:
-            links = links.unionByName(self._links(self._across(large, best_only=False), tested=True))
+            links = links.unionByName(cut(self._across(large, best_only=False), "links"))
         return connected_labels(links)
 
     def result(self) -> DataFrame:
