@@ -4,7 +4,8 @@ Units are the lines of a text and the text as a whole. Normalising lower-cases A
 digits as words; a unit is the set of its distinct bigrams. Dice = 2 |A and B| / (|A| + |B|) can reach t only if
 t / (2 - t) <= |A| / |B| <= (2 - t) / t, so a unit is compared only with templates in these bounds. Before that, a
 unit must share one of a few *probe* bigrams: of m template bigrams at least ceil(t m / (2 - t)) must be shared, so
-all but that many less one suffice as probes; the ones least frequent among the templates' own words are taken.
+all but that many less one suffice as probes. Probes are chosen to hold one of a few long keywords, so that texts
+and then units without any keyword go first, before they are cut into words.
 
 All work is row-local built-in functions: one pass over the text, no shuffle but for the final count per document
 and licence. Templates are literals, bounded by ``TEMPLATES``.
@@ -17,6 +18,7 @@ from __future__ import annotations
 
 import re
 from fractions import Fraction
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -37,6 +39,8 @@ TEMPLATES = [
     ("MIT-grant", "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the \"Software\"), to deal in the Software without restriction."),
     ("MPL-2.0", "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0."),
 ]
+#: Words too frequent in prose to tell a notice.
+COMMON = {"a", "all", "and", "any", "at", "be", "by", "can", "for", "from", "in", "is", "it", "of", "or", "that", "the", "this", "to", "under", "with", "work", "you", "your"}
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 _SPLIT = r"[^\p{L}\p{N}]+"
 
@@ -46,14 +50,24 @@ def bigrams(text: str) -> list[str]:
     return sorted({f"{a} {b}" for a, b in zip(w, w[1:], strict=False)})
 
 
-def probes(templates=TEMPLATES, t: Fraction = THRESHOLD) -> list[str]:
+def probes(templates=TEMPLATES, t: Fraction = THRESHOLD) -> tuple[list[str], list[str]]:
+    """(probe bigrams, keywords): enough probes of each template, each holding one of a few long words.
+
+    Keywords are taken one after another, widest reach first and common words last, until every template has enough
+    bigrams with one.
+    """
     sets = {name: bigrams(text) for name, text in templates}
-    common = {b: sum(b in s for s in sets.values()) for s in sets.values() for b in s}
-    out = set()
-    for s in sets.values():
-        need = -(-t * len(s) // (2 - t))
-        out |= set(sorted(s, key=lambda b: (common[b], -len(b), b))[: len(s) - int(need) + 1])
-    return sorted(out)
+    open_ = {name: len(s) - int(-(-t * len(s) // (2 - t))) + 1 for name, s in sets.items()}
+    words = sorted({w for s in sets.values() for b in s for w in b.split()})
+    keys: list[str] = []
+
+    def held(name: str) -> list[str]:
+        return [b for b in sets[name] if set(b.split()) & set(keys)]
+
+    while lacking := [name for name in sets if len(held(name)) < open_[name]]:
+        gain = {w: sum(w in b.split() and b not in held(name) for name in lacking for b in sets[name]) for w in words}
+        keys.append(max(words, key=lambda w: (gain[w] > 0, w not in COMMON, gain[w], len(w), w)))
+    return sorted({b for name in sets for b in held(name)}), keys
 
 
 def _words(unit: Column) -> Column:
@@ -67,13 +81,18 @@ def scan(docs: DataFrame, templates=TEMPLATES, t: Fraction = THRESHOLD) -> DataF
     least = -(-min(sizes) * t // (2 - t))
     text = F.coalesce("text", F.lit(""))
     lines = F.split(text, "\n")
-    units = docs.select("doc_id", F.explode(F.when(F.size(lines) > 1, F.concat(lines, F.array(text))).otherwise(lines)).alias("unit"))
+    probe_bigrams, keywords = probes(templates, t)
+
+    def hopeful(column: str) -> Column:  # lower() maps at least A-Z, so no unit with a probe is lost
+        return reduce(lambda x, y: x | y, [F.contains(F.lower(column), F.lit(k)) for k in keywords])
+
+    units = docs.where(hopeful("text")).select("doc_id", F.explode(F.when(F.size(lines) > 1, F.concat(lines, F.array(text))).otherwise(lines)).alias("unit"))
     # A unit of n distinct bigrams has at least 2 n + 1 characters, and its bigrams number at most (characters - 1) / 2.
-    units = units.where(F.length("unit") >= int(least) * 2 + 1)
+    units = units.where((F.length("unit") >= int(least) * 2 + 1) & hopeful("unit"))
     w = F.col("w")
     words = units.withColumn("w", _words(F.col("unit"))).where(F.size(w) > int(least)).drop("unit")
     pairs = F.array_distinct(F.zip_with(F.slice(w, 1, F.size(w) - 1), F.slice(w, 2, F.size(w)), lambda a, b: F.concat_ws(" ", a, b)))
-    probe = F.array(*[F.lit(p) for p in probes(templates, t)])
+    probe = F.array(*[F.lit(p) for p in probe_bigrams])
     held = words.withColumn("b", pairs).drop("w").where((F.size("b") <= most) & F.arrays_overlap("b", probe))
     table = F.array(*[F.struct(F.lit(name).alias("license_id"), F.array(*[F.lit(b) for b in bigrams(text)]).alias("grams")) for name, text in templates])
     x = F.col("x")
@@ -90,7 +109,7 @@ def oracle(templates=TEMPLATES, t: Fraction = THRESHOLD) -> str:
 WITH grams(license_id, b) AS (VALUES {rows}), sizes AS (SELECT license_id, count(*) AS m FROM grams GROUP BY 1),
 lines AS (SELECT doc_id, rn, unnest(CASE WHEN len(l) > 1 THEN list_append(l, text) ELSE l END) AS unit
           FROM (SELECT doc_id, text, row_number() OVER () AS rn, string_split(coalesce(text, ''), chr(10)) AS l FROM documents)),
-units AS (SELECT doc_id, row_number() OVER () AS u, list_filter(regexp_split_to_array(translate(unit, '{_UPPER}', '{_LOWER}'), '[^\p{{L}}\p{{N}}]+'), x -> x <> '') AS w FROM lines),
+units AS (SELECT doc_id, row_number() OVER () AS u, list_filter(regexp_split_to_array(translate(unit, '{_UPPER}', '{_LOWER}'), '[^\p{{L}}\p{{N}}]+'), lambda x: x <> '') AS w FROM lines),
 pairs AS (SELECT DISTINCT doc_id, u, w[i] || ' ' || w[i + 1] AS b FROM (SELECT doc_id, u, w, unnest(range(1, len(w))) AS i FROM units)),
 counts AS (SELECT u, count(*) AS n FROM pairs GROUP BY 1),
 shared AS (SELECT p.doc_id, p.u, g.license_id, count(*) AS k FROM pairs p JOIN grams g USING (b) GROUP BY ALL),
