@@ -28,7 +28,7 @@ def op(name: str, sql: str | None = None):
 def salted_join(left: DataFrame, right: DataFrame, key: str, salts: int = 8) -> DataFrame:
     """Equi-join for a left side with hot keys: left rows draw a salt, right rows are repeated once for each."""
     a = left.withColumn("_salt", F.pmod(F.xxhash64(*left.columns), F.lit(salts)))
-    b = right.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).cast("long"))
+    b = right.withColumn("_salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(salts - 1).cast("long"))))
     return a.join(b, [key, "_salt"]).drop("_salt")
 
 

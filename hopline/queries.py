@@ -408,6 +408,11 @@ def _sweep(field: str, values: list) -> Query:
 QUERIES |= {"hopset_k_sweep": _sweep("k", [2, 3, 4, 7]), "hopset_eps_sweep": _sweep("eps", [0.25, 0.5, 1.0]), "hopset_mu_sweep": _sweep("mu", [0.3, 0.5, 0.7]), "hopset_beta_sweep": _sweep("beta", [4, 8, 16]), "hopset_reps_sweep": _sweep("reps", [1, 3, 5])}
 
 
+@query("hopset_k2_200")
+def _(s, d):
+    return built(s, d, "part_mesh", TINY, 200).edges
+
+
 @query("hopset_sequential_vs_main")
 def _(s, d):
     g = graph(s, d, "part_mesh", 200)
