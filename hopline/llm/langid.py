@@ -18,10 +18,11 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, StringType, StructType
 
 WINDOW, SAMPLE = 256, 6000
 WIDTHS, FILTERS, DIM = (2, 3, 4), 10, 8
-EPOCHS, BATCH, RATE = 4, 64, 0.01
+EPOCHS, LEAST_STEPS, BATCH, RATE = 4, 300, 64, 0.01
 UNDETERMINED = "und"
 
 
@@ -48,7 +49,7 @@ def train(windows: list[bytes], labels: list[str], seed: int = 11) -> dict:
     p = {k: v.astype(np.float32) for k, v in p.items()}
     m, v = ({k: np.zeros_like(a) for k, a in p.items()} for _ in range(2))
     step = 0
-    for _ in range(EPOCHS):
+    for _ in range(max(EPOCHS, -(-LEAST_STEPS * BATCH // len(x)))):
         order = rng.permutation(len(x))
         for at in range(0, len(x), BATCH):
             xb, yb = x[order[at : at + BATCH]], y[order[at : at + BATCH]]
@@ -139,7 +140,8 @@ def _predict(model: dict | None):
             for at in range(0, batch.num_rows, 512):
                 part = batch.slice(at, 512)
                 ok = [a and network is not None for a in part.column("letters").to_pylist()]
-                raws = part.column("text").cast(pa.large_binary()).to_pylist()
+                text = part.column("text") if "text" in part.schema.names else part.column("row").field("text")
+                raws = text.cast(pa.large_binary()).to_pylist()
                 lang, score = [UNDETERMINED] * len(ok), [0.0] * len(ok)
                 index = [k for k, good in enumerate(ok) if good]
                 if index:
@@ -150,22 +152,23 @@ def _predict(model: dict | None):
     return run
 
 
-def predict(docs: DataFrame, model: dict | None, keep: list[str] = ("doc_id", "held_out")) -> DataFrame:
-    """``keep`` and lang_pred, score for every row; ``text`` is read in any case."""
-    letters = F.coalesce(F.col("text").rlike(r"\p{L}"), F.lit(False))
-    row = docs.withColumn("held_out", held_out(F.col("doc_id"))) if "held_out" in keep else docs
-    row = row.withColumn("letters", letters)
-    columns = [*keep, *([] if "text" in keep else ["text"]), "letters"]
-    schema = ", ".join(f"`{k}` {row.schema[k].dataType.simpleString()}" for k in columns[:-1])
-    return row.select(*columns).mapInArrow(_predict(model), f"{schema}, lang_pred string, score double").drop(*({"text"} - set(keep)))
+def _predicted(row: DataFrame, model: dict | None) -> DataFrame:
+    """Adds lang_pred and score to rows whose last column is ``letters``; the text is a column or lies in ``row``."""
+    schema = StructType(row.schema.fields[:-1]).add("lang_pred", StringType()).add("score", DoubleType())
+    return row.mapInArrow(_predict(model), schema)
+
+
+def has_letters(text: Column) -> Column:
+    return F.coalesce(text.rlike(r"\p{L}"), F.lit(False)).alias("letters")
 
 
 def identify(docs: DataFrame, sample: int = SAMPLE) -> DataFrame:
     """doc_id, held_out, lang_pred, score."""
-    return predict(docs, fit(docs, sample))
+    row = docs.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "text", has_letters(F.col("text")))
+    return _predicted(row, fit(docs, sample)).drop("text")
 
 
 def keep_identified(docs: DataFrame, least: float = 0.3) -> DataFrame:
     """Documents whose language is found with at least ``least`` probability."""
-    names = docs.columns
-    return predict(docs.select(names), fit(docs), names).where((F.col("lang_pred") != UNDETERMINED) & (F.col("score") >= least)).select(*names)
+    row = docs.select(F.struct("*").alias("row"), has_letters(F.col("text")))
+    return _predicted(row, fit(docs)).where((F.col("lang_pred") != UNDETERMINED) & (F.col("score") >= least)).select("row.*")

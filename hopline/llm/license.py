@@ -91,7 +91,7 @@ def scan(docs: DataFrame, templates=TEMPLATES, t: Fraction = THRESHOLD) -> DataF
     units = units.where((F.length("unit") >= int(least) * 2 + 1) & hopeful("unit"))
     w = F.col("w")
     words = units.withColumn("w", _words(F.col("unit"))).where(F.size(w) > int(least)).drop("unit")
-    pairs = F.array_distinct(F.zip_with(F.slice(w, 1, F.size(w) - 1), F.slice(w, 2, F.size(w)), lambda a, b: F.concat_ws(" ", a, b)))
+    pairs = F.array_distinct(F.zip_with(F.slice(w, F.lit(1), F.greatest(F.size(w) - 1, F.lit(0))), F.slice(w, F.lit(2), F.size(w)), lambda a, b: F.concat_ws(" ", a, b)))
     probe = F.array(*[F.lit(p) for p in probe_bigrams])
     held = words.withColumn("b", pairs).drop("w").where((F.size("b") <= most) & F.arrays_overlap("b", probe))
     table = F.array(*[F.struct(F.lit(name).alias("license_id"), F.array(*[F.lit(b) for b in bigrams(text)]).alias("grams")) for name, text in templates])

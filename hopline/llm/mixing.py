@@ -127,6 +127,6 @@ def plan(docs: DataFrame, repetition: float | None = REPETITION, entropy: float
 
 def mix(docs: DataFrame, repetition: float | None = REPETITION, entropy: float | None = None, budget: float | None = None) -> DataFrame:
     """The documents with all their columns, each as often as the mix asks for."""
-    keyed = _with_source(_keyed(docs))
-    thin = cut(keyed.select("_source", "_tokens", "_order"), "thin")
-    return _emit(keyed, _blocks(thin, repetition, entropy, budget)).select(*docs.columns)
+    keyed = _with_source(_keyed(docs.select(F.struct("*").alias("row"), "doc_id", "text", "source"))).select("row", "_source", "_tokens", "_order")
+    thin = cut(keyed.drop("row"), "thin")
+    return _emit(keyed, _blocks(thin, repetition, entropy, budget)).select("row.*")

@@ -273,8 +273,8 @@ def near_duplicates(docs: DataFrame, num: int = NUMERATOR, den: int = DENOMINATO
 
 def keep_one(docs: DataFrame) -> DataFrame:
     """The documents that stay: the smallest id of each component, once."""
-    rule = NearDuplicates(docs).result().where("kept").select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key"), "n_shingles").distinct()
-    keyed = docs.withColumn("_text_key", text_key(F.col("text")))
-    joined = keyed.join(rule, keyed.doc_id.eqNullSafe(rule["_id"]) & (keyed["_text_key"] == rule["_key"]), "inner")
-    order = Window.partitionBy("doc_id", "_text_key").orderBy(F.lit(1))
-    return joined.withColumn("_copy", F.row_number().over(order)).where("_copy = 1").select(*docs.columns)
+    rule = NearDuplicates(docs).result().where("kept").select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key")).distinct()
+    keyed = docs.select(F.struct("*").alias("row"), "doc_id", text_key(F.col("text")).alias("text_key"))
+    joined = keyed.join(rule, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("text_key") == F.col("_key")))
+    order = Window.partitionBy("doc_id", "text_key").orderBy(F.lit(1))
+    return joined.withColumn("copy", F.row_number().over(order)).where("copy = 1").select("row.*")

@@ -1,7 +1,7 @@
 """Graded quality by ordinal cumulative-link regression on hashed text.
 
 P(grade > k) = sigmoid(score - threshold_k) with one weight vector for all grades and ordered thresholds. Features:
-presence of hashed words that at least ``MIN_DF`` training texts hold, and root frequencies of hashed trigrams over
+presence of hashed words that at least ``MIN_DF`` training texts hold, scaled by how unevenly the grades use them, and root frequencies of hashed trigrams over
 byte classes (letters, digits, blanks; other bytes stand for themselves), which see markup, tables and shouting. Grades come from labels: 0 toxic, 1 low quality, 2 good. Training is numpy on the driver, on a bounded
 sample of labelled texts; scoring reads every byte of every text.
 
@@ -21,9 +21,9 @@ from pyspark.sql import functions as F
 
 from hopline.llm.textvec import WordReader
 
-SAMPLE, MIN_DF = 6000, 5
+SAMPLE, MIN_DF = 10_000, 5
 STYLE, WORDS = 4096, 1 << 20
-STEPS, RATE, DECAY = 250, 0.05, 1e-4
+STEPS, RATE, DECAY = 250, 0.05, 1e-3
 GRADES = 3
 
 
@@ -43,6 +43,13 @@ def style(raw: np.ndarray, table: np.ndarray) -> np.ndarray:
     return np.sqrt(out / max(1.0, out.sum()))
 
 
+def letter_reader() -> WordReader:
+    """Words are runs of letters here: every other ASCII byte parts them."""
+    reader = WordReader()
+    reader.blank[:128] = [not chr(b).isalpha() for b in range(128)]
+    return reader
+
+
 def _rows(batch: pa.RecordBatch, reader: WordReader, table: np.ndarray):
     column = batch.column("text").cast(pa.large_string())
     ends = np.frombuffer(column.buffers()[1], np.int64, len(column) + 1, column.offset * 8)
@@ -52,7 +59,7 @@ def _rows(batch: pa.RecordBatch, reader: WordReader, table: np.ndarray):
 
 
 def _features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    reader, table = WordReader(), _classes()
+    reader, table = letter_reader(), _classes()
     for batch in batches:
         words, ids, values = [], [], []
         for _, w, s in _rows(batch, reader, table):
@@ -69,6 +76,13 @@ def train(grades: list[int], words: list, ids: list, values: list) -> dict:
     """Full-batch Adam on the ordinal likelihood; thresholds stay ordered as a first one plus positive gaps."""
     df = np.bincount(np.concatenate([np.asarray(w, np.int64) for w in words]) if words else np.zeros(0, np.int64), minlength=WORDS)
     kept = np.flatnonzero(df >= MIN_DF)
+    # A word counts by how far its share among the lower grades is from that among the higher ones, for either cut.
+    y = np.array(grades)
+    by_grade = np.stack([np.bincount(np.concatenate([np.asarray(w, np.int64) for w, g in zip(words, grades, strict=True) if g == k] or [np.zeros(0, np.int64)]), minlength=WORDS)[kept] for k in range(GRADES)])
+    many, scale = np.bincount(y, minlength=GRADES), np.zeros(len(kept))
+    for k in range(1, GRADES):
+        low = np.log((by_grade[:k].sum(axis=0) + 1) / (many[:k].sum() + 2))
+        scale = np.maximum(scale, np.abs(low - np.log((by_grade[k:].sum(axis=0) + 1) / (many[k:].sum() + 2))))
     place = np.full(WORDS, -1)
     place[kept] = STYLE + np.arange(len(kept))
     rows, cols, vals = [], [], []
@@ -76,10 +90,10 @@ def train(grades: list[int], words: list, ids: list, values: list) -> dict:
         mine = place[np.asarray(w, np.int64)]
         mine = mine[mine >= 0]
         cols += [np.asarray(i, np.int64), mine]
-        vals += [np.asarray(v, float) * 8, np.full(len(mine), 0.3)]
+        vals += [np.asarray(v, float) * 4, scale[mine - STYLE]]
         rows.append(np.full(len(i) + len(mine), k))
     row, col, val = np.concatenate(rows), np.concatenate(cols), np.concatenate(vals)
-    y, n = np.array(grades), STYLE + len(kept)
+    n = STYLE + len(kept)
     x = np.zeros(n + GRADES - 1)
     x[n:] = [-1.0] + [0.5] * (GRADES - 2)
     m = v = np.zeros_like(x)
@@ -101,12 +115,12 @@ def train(grades: list[int], words: list, ids: list, values: list) -> dict:
         m, v = 0.9 * m + 0.1 * g, 0.999 * v + 0.001 * g * g
         x = x - RATE * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.999**step)) + 1e-9)
     theta = x[n] + np.concatenate([[0.0], np.cumsum(np.exp(x[n + 1 :]))])
-    return {"style": x[:STYLE] * 8, "kept": kept, "word": x[STYLE:n] * 0.3, "theta": theta}
+    return {"style": x[:STYLE] * 4, "kept": kept, "word": x[STYLE:n] * scale, "theta": theta}
 
 
 def _score(model: dict | None):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        reader, table = WordReader(), _classes()
+        reader, table = letter_reader(), _classes()
         weight = np.zeros(WORDS)
         if model:
             weight[model["kept"]] = model["word"]

@@ -105,10 +105,10 @@ def document_shards(docs: DataFrame) -> DataFrame:
 
 def shard(docs: DataFrame) -> DataFrame:
     """All columns of the documents, with shard and slot."""
-    raw = F.coalesce(F.md5(F.encode("text", "UTF-8")), F.lit(""))
-    same = Window.partitionBy("doc_id", "_g").orderBy(F.lit(1))
-    keyed = docs.withColumn("_g", raw).withColumn("_copy", F.row_number().over(same))
+    digest = F.coalesce(F.md5(F.encode("text", "UTF-8")), F.lit(""))
+    same = Window.partitionBy("doc_id", "g").orderBy(F.lit(1))
+    keyed = docs.select(F.struct(*[c for c in docs.columns if c not in ("shard", "slot")]).alias("row"), "doc_id", digest.alias("g")).withColumn("copy", F.row_number().over(same))
     thin = thin_rows(docs).groupBy("doc_id", "g", "size", "text_crc32").agg(F.count("*").cast("int").alias("copies")).withColumn("copy", F.explode(F.sequence(F.lit(1), "copies"))).drop("copies")
-    placed = assign(cut(thin, "rows")).select(F.col("doc_id").alias("_id"), F.col("g").alias("_pg"), F.col("copy").alias("_pc"), F.col("shard").alias("_shard"), F.col("slot").alias("_slot"))
-    joined = keyed.join(placed, keyed.doc_id.eqNullSafe(placed["_id"]) & (keyed["_g"] == placed["_pg"]) & (keyed["_copy"] == placed["_pc"]))
-    return joined.select(*[docs[c] for c in docs.columns if c not in ("shard", "slot")], F.col("_shard").alias("shard"), F.col("_slot").cast("long").alias("slot"))
+    placed = assign(cut(thin, "rows")).select(F.col("doc_id").alias("_id"), F.col("g").alias("_g"), F.col("copy").alias("_copy"), "shard", F.col("slot").cast("long").alias("slot"))
+    joined = keyed.join(placed, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("g") == F.col("_g")) & (F.col("copy") == F.col("_copy")))
+    return joined.select("row.*", "shard", "slot")
