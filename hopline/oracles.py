@@ -101,17 +101,12 @@ ORACLES["cover_neighborhood_mesh"] = "SELECT rep::INTEGER AS rep, (SELECT count(
 ORACLES["cover_scales_mesh"] = "SELECT scale::INTEGER AS scale, rep::INTEGER AS rep, (SELECT count(*) FROM part) AS memberships FROM (SELECT unnest(range(2)) AS rep), (SELECT unnest(range(2)) AS scale)"
 
 _FLAGS = "SELECT src, v, d AS d_exact, true AS sound, true AS within FROM dist"
-for _tag, _g in (("mesh", "part_mesh"), ("ladder", "balance_ladder_full")):
+for _tag, _g in (("mesh", "part_mesh"), ("ladder", "balance_ladder_full"), ("turns", "turn_chain")):
     ORACLES[f"hopset_sound_{_tag}"] = _with(_g, fixpoint(ROOT_SOURCES), _FLAGS, True)
 
 
-def _small(select: str, extra: str = "", sources: str = ROOT_SOURCES) -> str:
-    """Over the mesh of the first 200 parts in price order."""
-    raw = RAW["part_mesh"]
-    top = "(SELECT * FROM part ORDER BY p_retailprice, p_partkey LIMIT 200)"
-    raw = raw.replace("FROM part)", f"FROM {top})")
-    return f"""WITH RECURSIVE edges AS MATERIALIZED (SELECT least(u, v)::BIGINT AS u, greatest(u, v)::BIGINT AS v, min(w)::BIGINT AS w FROM ({raw}) WHERE u <> v GROUP BY 1, 2),
-arcs AS MATERIALIZED (SELECT u, v, w FROM edges UNION ALL SELECT v, u, w FROM edges), nodes AS MATERIALIZED (SELECT p_partkey AS id FROM {top}), {fixpoint(sources)}{extra} {select}"""
+def _small(select: str, sources: str = ROOT_SOURCES) -> str:
+    return _with("turn_chain", fixpoint(sources), select, True)
 
 
 ORACLES["hierarchy_global_sound"] = _small("SELECT src, v, d FROM dist")
@@ -121,9 +116,7 @@ ORACLES["memory_rich_mssp"] = _small(_FLAGS)
 ORACLES["hopset_sequential_vs_main"] = _small("SELECT src, v, d AS d_exact, true AS sound FROM dist")
 ORACLES["transshipment_sssp"] = _small("SELECT v, d, true AS below FROM dist", sources="SELECT min(id) AS src FROM nodes")
 ORACLES["pair_queries_mesh"] = _with("part_mesh", fixpoint("SELECT id AS src FROM nodes WHERE id <= 5"), "SELECT src, v, d FROM dist WHERE v = src * 31 + 7", True)
-ORACLES["sssp_with_hopset_path"] = """WITH p AS (SELECT p_partkey AS id, sum(coalesce(step, 0)) OVER (ORDER BY p_retailprice, p_partkey ROWS UNBOUNDED PRECEDING)::BIGINT AS at
-FROM (SELECT *, 1 + abs(p_size::BIGINT - lag(p_size::BIGINT) OVER (ORDER BY p_retailprice, p_partkey)) AS step FROM part) ORDER BY p_retailprice, p_partkey LIMIT 200)
-SELECT a.id AS src, b.id AS v, abs(a.at - b.at) AS d FROM (SELECT * FROM p ORDER BY id LIMIT 1) a, p b"""
+ORACLES["sssp_with_hopset_turns"] = _small("SELECT src, v, d FROM dist", "SELECT min(id) AS src FROM nodes")
 ORACLES["congestion_mesh"] = _with("part_mesh", fixpoint(ROOT_SOURCES), "SELECT max(k) AS max_inbox, sum(k)::BIGINT AS rows FROM (SELECT v, count(*) AS k FROM dist GROUP BY v)", True)
 ORACLES["memory_budget"] = f"""WITH {with_graph('part_mesh')}, s AS (SELECT (SELECT count(*) FROM nodes)::DOUBLE AS n, (SELECT count(*) FROM edges)::DOUBLE AS m)
 SELECT gamma, round(pow(n, gamma), 3) AS machine_words, round(m * pow(n, 0.5 - gamma), 3) AS machines, round(m * sqrt(n), 3) AS total_words FROM s, (SELECT unnest([0.25, 0.5, 1.0])::DOUBLE AS gamma)"""

@@ -118,12 +118,13 @@ def build(graph: Graph, params: HopsetParams, ledger: Ledger | None = None, max_
     graph.roots = cut(components(graph).select(F.col("comp").alias("src")).distinct(), "roots")
     made: DataFrame | None = None
     kept_clusters = []
-    kappa = least_scale(beta)
+    kappa, farthest, all_reached = least_scale(beta), 0, False
     while max_scale is None or kappa <= max_scale:
         big_r, ledger.scale = 2**kappa, kappa
         union = augment(graph, made) if made is not None else graph
         union.roots = graph.roots
-        farthest, all_reached = reach(union, hops, ledger)
+        if not all_reached:  # once all are reached, the first answer bounds every distance
+            farthest, all_reached = reach(union, hops, ledger)
         if all_reached and big_r >= 2 * farthest:
             break
         if big_r > 4 * max(1, n) * (2**40):

@@ -6,12 +6,12 @@ import time
 from collections.abc import Callable
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from hopline.session import setting, shared_dir
 
-CHECKPOINT_EVERY = 2
+CHECKPOINT_EVERY = 4
 
 
 @dataclass
@@ -35,7 +35,8 @@ def loop(state: DataFrame, step: Callable[[DataFrame], DataFrame], rounds: int |
     """Applies ``step`` until no row is ``fresh`` or ``rounds`` are done.
 
     Adaptive execution is off inside, so that the state keeps its partitioning by node through checkpoints and each
-    round costs one exchange. Checkpoints go to reliable storage; only a count of fresh rows reaches the driver.
+    round costs one exchange. Checkpoints go to reliable storage; the count of fresh rows is
+    observed by the same job.
     """
     spark, began, done, messages = state.sparkSession, time.time(), 0, 0
     shared_dir(spark)
@@ -44,12 +45,13 @@ def loop(state: DataFrame, step: Callable[[DataFrame], DataFrame], rounds: int |
             burst = every if rounds is None else min(every, rounds - done)
             for _ in range(burst):
                 state = step(state)
-            state = state.checkpoint()
+            seen = Observation()
+            state = state.observe(seen, F.count_if("fresh").alias("fresh")).checkpoint()
             done += burst
-            fresh = state.where("fresh").count()
+            fresh = seen.get["fresh"]
             messages += fresh
             if not fresh:
                 break
     if ledger is not None:
         ledger.note(phase, done, 0, messages, time.time() - began)
-    return state.where(F.lit(True))
+    return state

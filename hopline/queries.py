@@ -26,6 +26,8 @@ _HELD: dict[tuple, object] = {}
 
 #: Constants for test sizes: the theory's leave every small graph without a cluster.
 TEST = HopsetParams(k=2, eps=0.5, beta=8, seed=42, reps=3, segments=8, ell=4, rate=1.0)
+#: The whole graph that sweeps and comparisons of many builds run on.
+SMALL = "turn_chain"
 TINY = TEST.but(beta=4, ell=3, reps=3, segments=4)
 
 
@@ -298,7 +300,7 @@ def _(s, d):
 
 @query("cover_ball_growing")
 def _(s, d):
-    return baselines.ball_growing_cover(graph(s, d, "part_mesh", 200), 16, 8)
+    return baselines.ball_growing_cover(graph(s, d, SMALL), 16, 8)
 
 
 @query("cover_unlimited_mesh")
@@ -351,23 +353,23 @@ def _(s, d):
 
 @query("center_clique_approx")
 def _(s, d):
-    g, members = graph(s, d, "part_mesh", 200), cover.limited_pairwise(graph(s, d, "part_mesh", 200), 32, 4, 1.0, 1, 42, 1.0)
+    g, members = graph(s, d, SMALL), cover.limited_pairwise(graph(s, d, SMALL), 32, 4, 1.0, 1, 42, 1.0)
     return hopsets.center_clique(g, hopsets.split_clusters(members, g.n, 0.5), 12, weights="approx", eps=0.5)
 
 
-def built(s, d, name: str, p: HopsetParams = TEST, first: int | None = None) -> hopsets.HopsetResult:
-    return held(s, ("hopset", d, name, p, first), lambda: hopsets.build(graph(s, d, name, first), p))
+def built(s, d, name: str, p: HopsetParams = TEST) -> hopsets.HopsetResult:
+    return held(s, ("hopset", d, name, p), lambda: hopsets.build(graph(s, d, name), p))
 
 
-#: name of the query: graph, settings, prefix of it
-BUILDS = {"mesh": ("part_mesh", TEST, None), "ladder": ("balance_ladder_full", TEST, None), "path": ("price_path", TINY, 200), "event_chain": ("event_chain", TINY, 300)}
+#: name of the query: graph and settings
+BUILDS = {"mesh": ("part_mesh", TEST), "ladder": ("balance_ladder_full", TEST), "turns": (SMALL, TINY)}
 
 
 def _hopset_queries(tag: str) -> None:
-    name, p, first = BUILDS[tag]
+    name, p = BUILDS[tag]
 
     def built_here(s, d):
-        return built(s, d, name, p, first)
+        return built(s, d, name, p)
 
     def checked(s, d, test):
         b = built_here(s, d)
@@ -389,15 +391,15 @@ for _tag in BUILDS:
 
 
 def _sweep(field: str, values: list) -> Query:
-    """Size, effective hopbound, rounds and worst stretch for each value, on a mesh of 200 parts."""
+    """Size, effective hopbound, rounds and worst stretch for each value, on the graph of conversation turns."""
 
     def run(s, d):
-        g = graph(s, d, "part_mesh", 200)
+        g = graph(s, d, SMALL)
         src, rows = root_sources(g), []
         t = held(s, ("sweep truth", d), lambda: cut(relax.exact(g, src), "truth"))
         for x in values:
             p = TINY.but(**{field: x})
-            b = built(s, d, "part_mesh", p, 200)
+            b = built(s, d, SMALL, p)
             got = verify.stretch(t, mssp.many(g, b.edges, src, b.beta), p.eps).first()
             rows.append((field, float(x), b.size, verify.effective_hopbound(g, b.edges, src, p.eps, t), b.ledger.rounds(), got.too_short, got.max_stretch))
         return s.createDataFrame(rows, "parameter string, value double, edges long, hopbound int, rounds long, too_short long, max_stretch double")
@@ -408,14 +410,14 @@ def _sweep(field: str, values: list) -> Query:
 QUERIES |= {"hopset_k_sweep": _sweep("k", [2, 3, 4, 7]), "hopset_eps_sweep": _sweep("eps", [0.25, 0.5, 1.0]), "hopset_mu_sweep": _sweep("mu", [0.3, 0.5, 0.7]), "hopset_beta_sweep": _sweep("beta", [4, 8, 16]), "hopset_reps_sweep": _sweep("reps", [1, 3, 5])}
 
 
-@query("hopset_k2_200")
+@query("hopset_turns_k2")
 def _(s, d):
-    return built(s, d, "part_mesh", TINY, 200).edges
+    return built(s, d, SMALL, TINY).edges
 
 
 @query("hopset_sequential_vs_main")
 def _(s, d):
-    g = graph(s, d, "part_mesh", 200)
+    g = graph(s, d, SMALL)
     t = relax.exact(g, root_sources(g))
     b = hopsets.build_sequential(g, TINY)
     got = mssp.many(g, b.edges, root_sources(g), 17).select("src", "v", F.col("d").alias("e"))
@@ -424,13 +426,13 @@ def _(s, d):
 
 @query("memory_rich_hopset")
 def _(s, d):
-    b = held(s, ("rich", d), lambda: dense.build(graph(s, d, "part_mesh", 200), TINY))
+    b = held(s, ("rich", d), lambda: dense.build(graph(s, d, SMALL), TINY))
     return verify.size_by_kind(b.edges)
 
 
 @query("memory_rich_mssp")
 def _(s, d):
-    g = graph(s, d, "part_mesh", 200)
+    g = graph(s, d, SMALL)
     b = held(s, ("rich", d), lambda: dense.build(g, TINY))
     got = dense.mssp(g, b.edges, root_sources(g), 8).select("src", "v", F.col("d").alias("e"))
     t = relax.exact(g, root_sources(g))
@@ -449,9 +451,9 @@ def _(s, d):
     return mssp.many(b.graph, b.edges, root_sources(b.graph), 120).select("src", "v", "d")
 
 
-@query("sssp_with_hopset_path")
+@query("sssp_with_hopset_turns")
 def _(s, d):
-    b = built(s, d, "price_path", TINY, 200)
+    b = built(s, d, SMALL, TINY)
     source = b.graph.nodes.agg(F.min("id")).first()[0]
     return mssp.sssp(b.graph, source, 0.5, b.edges, 200).select("src", "v", "d")
 
@@ -477,18 +479,18 @@ def _(s, d):
 
 @query("hierarchy_global")
 def _(s, d):
-    return baselines.hierarchy_global(graph(s, d, "part_mesh", 200), 3)
+    return baselines.hierarchy_global(graph(s, d, SMALL), 3)
 
 
 @query("hierarchy_global_sound")
 def _(s, d):
-    g = graph(s, d, "part_mesh", 200)
+    g = graph(s, d, SMALL)
     return relax.hop_limited(model.augment(g, baselines.hierarchy_global(g, 3)), root_sources(g), 60).select("src", "v", "d")
 
 
 @query("bunch_oracle")
 def _(s, d):
-    g = graph(s, d, "part_mesh", 200)
+    g = graph(s, d, SMALL)
     bunches, pivots = baselines.bunch_oracle(g, 2)
     t = relax.exact(g, root_sources(g)).where("src <> v").select("src", "v", "d")
     got = baselines.oracle_query(bunches, pivots, t.select("src", "v"), 2).withColumnRenamed("d", "e")
@@ -497,7 +499,7 @@ def _(s, d):
 
 @query("spanner_mesh")
 def _(s, d):
-    g = graph(s, d, "part_mesh", 200)
+    g = graph(s, d, SMALL)
     h = model.Graph(g.nodes, baselines.spanner(g, 2))
     t = relax.exact(g, root_sources(g))
     got = relax.exact(h, root_sources(g)).select("src", "v", F.col("d").alias("e"))
@@ -518,7 +520,7 @@ def _(s, d):
 
 @query("transshipment_sssp")
 def _(s, d):
-    g = graph(s, d, "part_mesh", 200)
+    g = graph(s, d, SMALL)
     source = g.nodes.agg(F.min("id")).first()[0]
     pot = baselines.transshipment_sssp(g, source)
     t = relax.exact(g, s.createDataFrame([(source,)], "src long")).select("v", "d")
@@ -527,8 +529,8 @@ def _(s, d):
 
 @query("compare_all")
 def _(s, d):
-    """Size, effective hopbound, rounds of the build and worst stretch of each method on a mesh of 200 parts."""
-    g = graph(s, d, "part_mesh", 200)
+    """Size, effective hopbound, rounds of the build and worst stretch of each method on the graph of conversation turns."""
+    g = graph(s, d, SMALL)
     src = root_sources(g)
     t = cut(relax.exact(g, src), "truth")
     rows = []
@@ -541,7 +543,7 @@ def _(s, d):
 
     put("none", None, 0)
     for small in ("hierarchy", "clique", "recursive"):
-        b = built(s, d, "part_mesh", TINY.but(small=small), 200)
+        b = built(s, d, SMALL, TINY.but(small=small))
         put(f"sparse_{small}", b.edges, b.ledger.rounds())
     put("dense_two_level", baselines.dense_two_level(g), -1)
     put("hierarchy_global", baselines.hierarchy_global(g, 3), -1)

@@ -40,21 +40,17 @@ def _jump():
 
 
 
-def price_path(spark: SparkSession, d: str, first: int | None = None) -> Graph:
+def price_path(spark: SparkSession, d: str) -> Graph:
     part = _parts(spark, d)
     rows = _next_global(part, ["p_retailprice", "p_partkey"], "p_partkey", ["p_size"])
-    if first:
-        rows = rows.where(F.col("rank") < first - 1)
-        return from_edges(rows.withColumn("w", _jump()))
     return from_edges(rows.withColumn("w", _jump()), nodes=part.select(F.col("p_partkey").alias("id")))
 
 
-def part_mesh(spark: SparkSession, d: str, first: int | None = None) -> Graph:
-    """Row-major grid in price order, as wide as the root of the number of parts (or of ``first`` parts)."""
+def part_mesh(spark: SparkSession, d: str) -> Graph:
+    """Row-major grid in price order, as wide as the root of the number of parts."""
     part = _parts(spark, d)
-    n = min(part.count(), first or 1 << 62)
-    width = int(n**0.5)
-    ranked = global_rank(part, ["p_retailprice", "p_partkey"]).where(F.col("rank") < n)
+    width = int(part.count() ** 0.5)
+    ranked = global_rank(part, ["p_retailprice", "p_partkey"])
     a = ranked.select("rank", F.col("p_partkey").alias("u"), F.col("p_size").alias("p_size_u")).withColumn("to", F.explode(F.array(F.when(F.col("rank") % width < width - 1, F.col("rank") + 1), F.col("rank") + width)))
     b = ranked.select(F.col("rank").alias("to"), F.col("p_partkey").alias("v"), F.col("p_size").alias("p_size_v"))
     return from_edges(a.join(b, "to").withColumn("w", _jump()), nodes=ranked.select(F.col("p_partkey").alias("id")))
@@ -88,9 +84,8 @@ def _seconds():
 
 
 
-def event_chain(spark: SparkSession, d: str, first: int | None = None) -> Graph:
+def event_chain(spark: SparkSession, d: str) -> Graph:
     e = _events(spark, d)
-    e = e.where(F.col("event_id") < first) if first else e
     rows = _next(e, ["user_id"], ["t", "event_id"], "event_id", ["t"]).unionByName(_next(e, ["event_type"], ["t", "event_id"], "event_id", ["t"]))
     return from_edges(rows.withColumn("w", _seconds()), nodes=e.select(F.col("event_id").alias("id")))
 
@@ -163,9 +158,9 @@ RECIPES: dict[str, Callable[..., Graph]] = {f.__name__: f for f in (price_path,
 _HELD: dict[tuple, Graph] = {}
 
 
-def graph(spark: SparkSession, sf_dir: str, name: str, first: int | None = None) -> Graph:
+def graph(spark: SparkSession, sf_dir: str, name: str) -> Graph:
     """A recipe's graph, made once in a session."""
-    key = (spark.sparkContext.applicationId, sf_dir, name, first)
+    key = (spark.sparkContext.applicationId, sf_dir, name)
     if key not in _HELD:
-        _HELD[key] = RECIPES[name](spark, sf_dir, **({"first": first} if first else {}))
+        _HELD[key] = RECIPES[name](spark, sf_dir)
     return _HELD[key]
