@@ -19,6 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from hopline.llm.sampling import thinned
 from hopline.llm.textvec import WordReader
 
 SAMPLE, MIN_DF = 10_000, 5
@@ -142,7 +143,8 @@ def _score(model: dict | None):
 def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> dict | None:
     known = labels.where("doc_id is not null and quality is not null and toxic is not null")
     grade = F.when(F.col("toxic") == 1, 0).when(F.col("quality") == 0, 1).otherwise(2)
-    picked = known.select("doc_id", grade.alias("grade")).orderBy(F.xxhash64("doc_id", F.lit(13)), "grade").limit(sample)
+    drawn = thinned(known.select("doc_id", grade.alias("grade"), F.xxhash64("doc_id", F.lit(13)).alias("draw")), "draw", sample, known.count())
+    picked = drawn.orderBy("draw", "grade").limit(sample).select("doc_id", "grade")
     text = docs.select("doc_id", "text").where("text is not null").join(F.broadcast(picked), "doc_id")
     got = text.select("grade", "text").mapInArrow(_features, "grade int, words array<int>, ids array<int>, vals array<float>").collect()
     return train([r.grade for r in got], [r.words for r in got], [r.ids for r in got], [r.vals for r in got]) if len({r.grade for r in got}) > 1 else None

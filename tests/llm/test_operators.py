@@ -301,3 +301,13 @@ def test_pipeline_stages(spark, docs, empty, sf, tmp_path):
     assert kept <= {None} | {k for k, v in want.items() if k == v}
     for _, stage in corpus_pipeline.STAGES:
         assert stage(spark, empty, str(tmp_path)).count() == 0
+
+
+def test_thinned_samples(spark):
+    from hopline.llm.sampling import SLACK, thinned
+
+    table = spark.range(20_000).select(F.xxhash64("id").alias("draw"))
+    assert thinned(table, "draw", 100, 300).count() == 20_000
+    some = thinned(table, "draw", 100, 20_000)
+    assert abs(some.count() - SLACK * 100) < 120
+    assert [r.draw for r in some.orderBy("draw").limit(100).collect()] == [r.draw for r in table.orderBy("draw").limit(100).collect()]
