@@ -106,9 +106,11 @@ def document_shards(docs: DataFrame) -> DataFrame:
 def shard(docs: DataFrame) -> DataFrame:
     """All columns of the documents, with shard and slot."""
     digest = F.coalesce(F.md5(F.encode("text", "UTF-8")), F.lit(""))
-    same = Window.partitionBy("doc_id", "g").orderBy(F.lit(1))
-    keyed = docs.select(F.struct(*[c for c in docs.columns if c not in ("shard", "slot")]).alias("row"), "doc_id", digest.alias("g")).withColumn("copy", F.row_number().over(same))
-    thin = thin_rows(docs).groupBy("doc_id", "g", "size", "text_crc32").agg(F.count("*").cast("int").alias("copies")).withColumn("copy", F.explode(F.sequence(F.lit(1), "copies"))).drop("copies")
-    placed = assign(cut(thin, "rows")).select(F.col("doc_id").alias("_id"), F.col("g").alias("_g"), F.col("copy").alias("_copy"), "shard", F.col("slot").cast("long").alias("slot"))
-    joined = keyed.join(placed, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("g") == F.col("_g")) & (F.col("copy") == F.col("_copy")))
-    return joined.select("row.*", "shard", "slot")
+    # One exchange of the texts serves both the numbering of repeated rows and the join: the same three plain keys.
+    keys = ["id", "no_id", "g"]
+    named = [F.coalesce("doc_id", F.lit(0)).alias("id"), F.col("doc_id").isNull().alias("no_id")]
+    same = Window.partitionBy(*keys).orderBy(F.lit(1))
+    keyed = docs.select(F.struct(*[c for c in docs.columns if c not in ("shard", "slot")]).alias("row"), *named, digest.alias("g")).withColumn("copy", F.row_number().over(same))
+    placed = assign(cut(thin_rows(docs), "rows")).select(*named, "g", F.struct("shard", F.col("slot").cast("long").alias("slot")).alias("place"))
+    places = placed.groupBy(*keys).agg(F.array_sort(F.collect_list("place")).alias("places"))
+    return keyed.join(places, keys).withColumn("place", F.get("places", F.col("copy") - 1)).select("row.*", "place.shard", "place.slot")
