@@ -273,8 +273,10 @@ def near_duplicates(docs: DataFrame, num: int = NUMERATOR, den: int = DENOMINATO
 
 def keep_one(docs: DataFrame) -> DataFrame:
     """The documents that stay: the smallest id of each component, once."""
-    rule = NearDuplicates(docs).result().where("kept").select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key")).distinct()
-    keyed = docs.select(F.struct("*").alias("row"), "doc_id", text_key(F.col("text")).alias("text_key"))
-    joined = keyed.join(rule, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("text_key") == F.col("_key")))
-    order = Window.partitionBy("doc_id", "text_key").orderBy(F.lit(1))
-    return joined.withColumn("copy", F.row_number().over(order)).where("copy = 1").select("row.*")
+    # One exchange of the texts serves both the numbering of repeated rows and the join: the same three plain keys.
+    keys = ["id", "no_id", "text_key"]
+    named = [F.coalesce("doc_id", F.lit(0)).alias("id"), F.col("doc_id").isNull().alias("no_id")]
+    rule = NearDuplicates(docs).result().where("kept").select(*named, "text_key").distinct()
+    keyed = docs.select(F.struct("*").alias("row"), *named, text_key(F.col("text")).alias("text_key"))
+    order = Window.partitionBy(*keys).orderBy(F.lit(1))
+    return keyed.withColumn("copy", F.row_number().over(order)).where("copy = 1").join(rule, keys, "left_semi").select("row.*")
