@@ -49,7 +49,8 @@ def held(spark: SparkSession, key: tuple, make: Callable[[], object]):
 
 def root_sources(g: model.Graph) -> DataFrame:
     """The floor(sqrt n) smallest ids."""
-    return held(g.spark, ("roots", id(g)), lambda: cut(g.nodes.orderBy("id").limit(int(g.n**0.5)).select(F.col("id").alias("src")), "sources"))
+    # The graph is held too, so that no other graph gets its id.
+    return held(g.spark, ("roots", id(g)), lambda: (g, cut(g.nodes.orderBy("id").limit(int(g.n**0.5)).select(F.col("id").alias("src")), "sources")))[1]
 
 
 def truth(spark: SparkSession, d: str, name: str) -> DataFrame:
