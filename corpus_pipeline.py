@@ -9,12 +9,16 @@ from hopline.llm import decontam, langid, mixing, neardup, sharding
 from hopline.session import cut
 
 
+#: Near copies on five-word shingles are merged from this similarity on; the thin query op6 has a contract of its own.
+NEAR = (80, 100)
+
+
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return langid.keep_identified(docs)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return neardup.keep_one(docs)
+    return neardup.keep_one(docs, *NEAR)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -100,6 +100,15 @@ def test_large_bucket_of_near_copies(spark, monkeypatch):
     assert len(set(want.values())) > 5
 
 
+def test_pipeline_links_at_four_fifths(spark):
+    words = [f"w{k}" for k in range(54)]
+    near = " ".join(words[:27] + ["changed"] + words[28:])  # 45 of 55 shingles
+    far = " ".join(words[:15] + ["one"] + words[16:40] + ["two"] + words[41:])  # 40 of 60
+    df = spark.createDataFrame([(1, " ".join(words)), (2, near), (3, far)], "doc_id long, text string")
+    assert {r.doc_id for r in corpus_pipeline.near_duplicates(spark, df, "").collect()} == {1, 3}
+    assert {r.doc_id for r in neardup.near_duplicates(df).where("kept").collect()} == {1, 2, 3}
+
+
 def test_posterior_bounds():
     least = neardup.least_matches(0.85, 1e-4)
     assert least == sorted(least) and least[-1] < 0.85 * neardup.HASHES
