@@ -1,14 +1,20 @@
 """Balanced label propagation: documents with equal texts move together, shard sizes stay within one row.
 
 Documents with the same text are linked. Every document starts in a shard drawn by hash. In each round the members
-of a group vote, the group's target is the open shard with most of its members, and groups move there under a quota:
-a shard takes only as much as its capacity leaves after the linked documents that stay, admitting groups by a hash
-until the quota's share is used up. Groups larger than an eighth of a shard are first cut into parts of that size, so
-one text may fill several shards without breaking the balance. At the end shards above their size (the law ``rows``:
-counts at most one apart) hand on what exceeds it, unlinked documents first, to shards below theirs.
+of a group vote, and the group's target is the shard with most of its members among those that still have room for
+the whole group; a shard admits groups in the order of a hash up to the room that the groups settled there leave.
+Who isn't admitted votes again in the next round, under the room left by then, until no group is open.
 
-Ranks that are global (who is handed on, slots within a shard) come from counts per small bucket, running sums over
-these counts, and a rank within each bucket; no task sees more than a bucket. Only counts per shard reach the driver.
+Groups above 1/64 of a shard (``LARGE`` a shard at most) are seated first and exactly, largest first. Only a group
+that no shard can hold whole, because it exceeds a shard or the room is used up, is cut: it fills shard after shard,
+most room first. So one text may fill several shards without breaking the balance. Room is counted for linked
+documents only; at the end shards above their size (the law ``rows``: counts at most one apart) hand on what exceeds
+it, which are unlinked documents, to shards below theirs.
+
+Ranks that are global (who is handed on, slots within a shard, rows of a cut group) come from counts per small
+bucket, running sums over these counts, and a rank within each bucket; no task sees more than a bucket. Large groups
+are placed by a broadcast and never meet in one task. What reaches the driver is bounded: counts per shard, per
+shard and hash bucket (``SLICES``), large groups, and the last ``TAIL`` open groups.
 
 Defined cases: null texts equal each other and have size 1; repeated rows are rows like any other and take a slot
 each; an empty table gives an empty result; extra columns are ignored by :func:`assign` and kept by :func:`shard`.
@@ -19,9 +25,10 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from hopline.session import cut
+from hopline.session import cut, small_enough
 
-SHARDS, ROUNDS, BUCKET = 8, 3, 1500
+SHARDS, BUCKET = 8, 1500
+LARGE, SLICES, TAIL = 64, 1024, 4096
 LAW = "rows"
 
 
@@ -41,43 +48,99 @@ def _ranks(rows: DataFrame, key: str, first: str, spread: str, total: int) -> Da
     return row.join(counts, [key, first, "_b"]).withColumn("rank", F.col("_before") + F.row_number().over(within) - 1).drop("_b", "_before")
 
 
-def propagate(rows: DataFrame, shards: int, rounds: int, total: int) -> DataFrame:
-    """Adds shard, single (0 for linked documents) and part, the unit that moves together."""
-    part_size = max(2, total // (8 * shards))
-    groups = rows.groupBy("g").agg(F.count("*").alias("n")).where("n > 1").withColumn("parts", F.ceil(F.col("n") / part_size).cast("int"))
-    row = rows.join(groups, "g", "left").withColumn("single", F.col("n").isNull().cast("int"))
-    row = row.withColumn("part", F.when(F.col("single") == 1, F.col("u")).otherwise(F.xxhash64("g", F.pmod("u", F.col("parts")))))
-    fine = F.xxhash64("part", F.pmod(F.xxhash64("u"), F.coalesce(F.ceil(F.least(F.col("n"), F.lit(part_size)) / BUCKET), F.lit(1))))
+def shard_sizes(total: int, shards: int) -> list[int]:
+    return [total // shards + (s < total % shards) for s in range(shards)]
+
+
+def seat(groups: list[tuple[str, int, list[int]]], room: list[int]) -> list[tuple[str, int, int, int]]:
+    """(g, first, last, shard): pieces of groups (g, n, votes by shard), largest first; takes from ``room``."""
+    pieces = []
+    for g, n, votes in sorted(groups, key=lambda x: (-x[1], x[0])):
+        fits = [s for s in range(len(room)) if room[s] >= n]
+        order = [max(fits, key=lambda s: (votes[s], room[s], -s))] if fits else sorted(range(len(room)), key=lambda s: (-room[s], -votes[s], s))
+        at = 0
+        for s in order:
+            if take := min(room[s], n - at):
+                pieces.append((g, at, at + take, s))
+                room[s] -= take
+                at += take
+    return pieces
+
+
+def settle(groups: DataFrame, shards: int, total: int) -> tuple[list[tuple[str, int, int, int]], list[DataFrame]]:
+    """Pieces of the groups (g, n, votes) seated on the driver, and tables (g, goal, size_g) of those that moved in rounds."""
+    room, moved, turn = shard_sizes(total, shards), [], 0
+    large = F.col("n") > total / (shards * LARGE)
+    plain = lambda rows: [(r.g, r.n, list(r.votes)) for r in rows.collect()]
+    pieces, open_ = seat(plain(groups.where(large)), room), groups.where(~large)
+    while not (last := small_enough(open_, TAIL)):
+        choice = [F.when(F.col("n") <= room[s], F.struct(F.get("votes", F.lit(s)).alias("votes"), F.xxhash64("g", F.lit(s)).alias("tie"), F.lit(s).alias("s"))) for s in range(shards)]
+        goal = F.array_max(F.filter(F.array(*choice), lambda c: c.isNotNull()))["s"]
+        wish = cut(open_.withColumn("goal", goal).withColumn("slice", F.pmod(F.xxhash64("g", F.lit(100 + turn)), F.lit(SLICES)).cast("int")), "wishes")
+        upto = [0] * shards
+        for r in wish.where("goal is not null").groupBy("goal", "slice").agg(F.sum("n").alias("n")).orderBy("goal", "slice").collect():
+            if upto[r.goal] >= 0 and r.n <= room[r.goal]:
+                room[r.goal] -= r.n
+                upto[r.goal] = r.slice + 1
+            elif upto[r.goal] >= 0:
+                upto[r.goal] = -1 - upto[r.goal]  # closed for this round
+        bound = F.get(F.array(*[F.lit(x if x >= 0 else -1 - x) for x in upto]), F.col("goal"))
+        admitted = F.coalesce(F.col("slice") < bound, F.lit(False))
+        moved.append(wish.where(admitted).select("g", "goal", F.col("n").alias("size_g")))
+        open_, turn = wish.where(~admitted).select("g", "n", "votes"), turn + 1
+        if not any(upto[s] not in (0, -1) for s in range(shards)):  # nobody moved: the largest are seated exactly
+            some = open_.orderBy(F.desc("n"), "g").limit(TAIL)
+            seated = plain(some)
+            pieces += seat(seated, room)
+            open_ = cut(open_.join(F.broadcast(open_.sparkSession.createDataFrame([(g,) for g, _, _ in seated], "g string")), "g", "left_anti"), "open")
+    return pieces + (seat(plain(open_), room) if last else []), moved
+
+
+def propagate(rows: DataFrame, shards: int, total: int) -> DataFrame:
+    """Adds shard, single (0 for linked documents) and spread, which keeps pieces of a text together in ranks."""
+    spark = rows.sparkSession
+    row = rows.withColumn("shard", F.pmod(F.xxhash64("u", F.lit(3)), F.lit(shards)).cast("int"))
+    votes = F.array(*[F.count_if(F.col("shard") == s) for s in range(shards)])
+    groups = cut(row.groupBy("g").agg(F.count("*").alias("n"), votes.alias("votes")).where("n > 1"), "groups")
+    pieces, moved = settle(groups, shards, total)
+    whole = {g: s for g, _, _, s in pieces}
+    parts: dict[str, list] = {}
+    for g, first, last, s in pieces:
+        parts.setdefault(g, []).append((last, s))
+    sizes = {g: p[-1][0] for g, p in parts.items()}
+    table = [(g, sizes[g], -1 if len(p) > 1 else whole[g]) for g, p in parts.items()]
+    seated = spark.createDataFrame(table, "g string, seated long, home int")
+    row = row.join(F.broadcast(seated), "g", "left")
+    if moved:
+        goals = moved[0]
+        for more in moved[1:]:
+            goals = goals.unionByName(more)
+        # Seated rows need no goal: they go by their own number, so that no text meets in one task.
+        key = F.when(F.col("seated").isNull(), F.col("g")).otherwise(F.concat(F.lit("seated "), F.col("u").cast("string")))
+        row = row.withColumn("key", key).join(goals.withColumnRenamed("g", "key"), "key", "left").drop("key")
+    else:
+        row = row.withColumn("goal", F.lit(None).cast("int")).withColumn("size_g", F.lit(None).cast("long"))
+    fine = F.xxhash64("g", F.pmod(F.xxhash64("u"), F.ceil(F.coalesce("seated", "size_g", F.lit(1)) / BUCKET)))
+    row = row.withColumn("single", F.coalesce("home", "goal").isNull().cast("int"))
     row = row.withColumn("spread", F.when(F.col("single") == 1, F.col("u")).otherwise(fine))
-    state = cut(row.withColumn("shard", F.pmod(F.xxhash64("u", F.lit(3)), F.lit(shards)).cast("int")).drop("n", "parts"), "shards")
-    capacity = total / shards
-    for turn in range(rounds):
-        linked = state.where("single = 0")
-        votes = linked.groupBy("part", "shard").agg(F.count("*").alias("votes"))
-        best = cut(votes.groupBy("part").agg(F.max_by("shard", F.struct("votes", F.xxhash64("part", "shard"))).alias("target"), F.sum("votes").alias("n"), F.max("votes").alias("there")), "targets")
-        flow = {r.target: (r.there, r.n - r.there) for r in best.groupBy("target").agg(F.sum("there").alias("there"), F.sum("n").alias("n")).collect()}
-        if not any(wish for _, wish in flow.values()):
-            break
-        quota = {s: max(0.0, min(1.0, (capacity - there) / wish)) if wish else 1.0 for s, (there, wish) in flow.items()}
-        full = [s for s, q in quota.items() if q < 1.0]
-        admitted = F.coalesce(F.create_map(*[F.lit(x) for pair in quota.items() for x in pair])[F.col("target")], F.lit(0.0))
-        chance = F.pmod(F.xxhash64("part", F.lit(turn)), F.lit(1_000_003)) / 1_000_003
-        # Who isn't admitted tries the next round in a shard that is open.
-        open_shards = [s for s in range(shards) if s not in full] or list(range(shards))
-        other = F.array(*[F.lit(s) for s in open_shards])[F.pmod(F.xxhash64("part", F.lit(turn + 50)), F.lit(len(open_shards))).cast("int")]
-        goal = best.select("part", F.when(chance < admitted, F.col("target")).otherwise(other).alias("goal"))
-        state = cut(state.join(goal, "part", "left").withColumn("shard", F.coalesce("goal", "shard")).drop("goal"), "shards")
-    return state
-
-
-def assign(rows: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS) -> DataFrame:
+    state = cut(row.withColumn("shard", F.coalesce("home", "goal", "shard")).drop("home", "goal", "size_g", "seated"), "shards")
+    torn = {g: p for g, p in parts.items() if len(p) > 1}
+    if not torn:
+        return state
+    ends = spark.createDataFrame([(g, [x for x, _ in p], [s for _, s in p]) for g, p in torn.items()], "g string, ends array<long>, homes array<int>")
+    ranked = _ranks(state.where("shard < 0"), "g", "single", "u", total).join(F.broadcast(ends), "g")
+    home = F.get("homes", F.size(F.filter("ends", lambda x: x <= F.col("rank"))))
+    rest = ranked.withColumn("shard", home).select(state.columns)
+    return cut(state.where("shard >= 0").unionByName(rest), "shards")
+
+
+def assign(rows: DataFrame, shards: int = SHARDS) -> DataFrame:
     """Adds shard and slot to thin rows; shard counts differ by one at most."""
     total = rows.count()
     keyed = rows.withColumn("u", F.xxhash64("doc_id", "g"))
-    state = propagate(keyed, shards, rounds, total)
+    state = propagate(keyed, shards, total)
     have = {r.shard: r["count"] for r in state.groupBy("shard").count().collect()}
-    order = sorted(range(shards), key=lambda s: (-have.get(s, 0), s))
-    size = {s: total // shards + (k < total % shards) for k, s in enumerate(order)}
+    size = dict(enumerate(shard_sizes(total, shards)))
     over, gaps, offset = {}, [], 0
     for s in range(shards):
         over[s] = offset
@@ -94,7 +157,7 @@ def assign(rows: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS) -> DataF
     for first, s in gaps:  # the last gap that begins at or before
         moved = F.when(extra >= first, F.lit(s)).otherwise(moved)
     placed = cut(ranked.withColumn("shard", F.when(F.col("rank") < table(size), F.col("shard")).otherwise(moved).cast("int")).drop("rank"), "placed")
-    return _ranks(placed, "shard", "single", "spread", max(1, total // shards)).withColumnRenamed("rank", "slot").drop("single", "spread", "part", "u")
+    return _ranks(placed, "shard", "single", "spread", max(1, total // shards)).withColumnRenamed("rank", "slot").drop("single", "spread", "u")
 
 
 def document_shards(docs: DataFrame) -> DataFrame:

@@ -177,6 +177,22 @@ def test_sharding_keeps_groups_and_splits_giants(spark):
     assert sum(len(v) > 1 for v in homes.values()) <= 15
 
 
+def test_sharding_tears_only_what_no_shard_holds(spark, monkeypatch):
+    sizes = {"half": 75, "most": 120, "third": 50, "giant": 340, **{f"pair {k}": 3 for k in range(100)}}
+    texts = [t for t, n in sizes.items() for _ in range(n)]
+    texts += [f"single {k}" for k in range(1200 - len(texts))]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    for tail in (sharding.TAIL, 10):  # all seated exactly; mostly moved in rounds
+        monkeypatch.setattr(sharding, "TAIL", tail)
+        homes, count = defaultdict(Counter), Counter()
+        for r in sharding.document_shards(df).collect():
+            homes[texts[r.doc_id]][r.shard] += 1
+            count[r.shard] += 1
+        assert set(count.values()) == {150} and len(count) == 8
+        assert [t for t, n in sizes.items() if len(homes[t]) > 1] == ["giant"]
+        assert sorted(homes["giant"].values()) == [40, 150, 150]
+
+
 def test_language(docs, empty):
     out = langid.identify(docs).collect()
     assert len(out) == docs.count()
