@@ -40,7 +40,7 @@ def _edges(rows: DataFrame) -> DataFrame:
 def _below_cap(graph: Graph, nodes: DataFrame, cap: DataFrame, hops: int | None) -> DataFrame:
     """(src, cap, v, d, hops): nodes nearer to src than its cap, which the search carries as a key."""
     start = nodes.select(F.col("id").alias("src"), F.col("id").alias("v")).join(cap.select(F.col("v").alias("src"), "cap"), "src", "left").withColumn("cap", F.coalesce("cap", F.lit(2**40)))
-    return search(graph.arcs, start, ["src", "cap"], hops, graph.partitions, radius=F.col("cap") - 1, phase="bunch")
+    return search(graph.arcs, start, ["src", "cap"], hops, graph.partitions, radius=F.col("cap") - 1, phase="bunch", nodes=graph.n)
 
 
 def hierarchy_global(graph: Graph, k: float, eps: float = 1.0, rho: float = 0.5, seed: int = 42, hops: int | None = None) -> DataFrame:
@@ -95,7 +95,7 @@ def bunch_oracle(graph: Graph, k: int, seed: int = 42) -> tuple[DataFrame, DataF
         cap = cut(_nearest_upper(graph, nxt, None), "caps") if i < k - 1 and not nxt.isEmpty() else None
         # x in A_i \ A_{i+1} grows its cluster: nodes v nearer to x than to A_{i+1}; closed along shortest paths to x.
         low = level.join(nxt, "id", "left_anti")
-        grow = search(graph.arcs, low.select(F.col("id").alias("src"), F.col("id").alias("v")), ["src"], None, graph.partitions, prune=cap.select("v", "cap") if cap is not None else None, phase="bunch")
+        grow = search(graph.arcs, low.select(F.col("id").alias("src"), F.col("id").alias("v")), ["src"], None, graph.partitions, prune=cap.select("v", "cap") if cap is not None else None, phase="bunch", nodes=graph.n)
         rows = grow.select("v", F.col("src").alias("x"), "d")
         if cap is not None:
             rows = rows.join(cap.select("v", "cap"), "v", "left").where("cap is null or d < cap").drop("cap")

@@ -46,7 +46,7 @@ def least_scale(beta: int) -> int:
     return max(0, math.floor(math.log2(max(beta, 1))))
 
 
-def reach(graph: Graph, hops: int, ledger: Ledger | None = None) -> tuple[int, bool]:
+def reach(graph: Graph, hops: int | None, ledger: Ledger | None = None) -> tuple[int, bool]:
     """Greatest distance from one node of each component by ``hops`` edges, and whether all nodes were reached."""
     roots = graph.roots if hasattr(graph, "roots") else components(graph).select(F.col("comp").alias("src")).distinct()
     dist = hop_limited(graph, roots, hops, ledger=ledger, phase="reach")
@@ -58,7 +58,7 @@ def split_clusters(members: DataFrame, n: int, mu: float) -> DataFrame:
     return clusters(members, n**mu)
 
 
-def stars(graph: Graph, members: DataFrame, big: DataFrame, hops: int, scope: str = "cluster", ledger: Ledger | None = None) -> DataFrame:
+def stars(graph: Graph, members: DataFrame, big: DataFrame, hops: int | None, scope: str = "cluster", ledger: Ledger | None = None) -> DataFrame:
     """(rep, center, u, v, w): centre to every member of its large cluster. The length is that of a path of at most
     ``hops`` edges inside the cluster, or of the cluster's own tree where no such path exists."""
     inside = cut(members.join(big.select("rep", "center"), ["rep", "center"]).select("rep", "center", "v", "dtree"), "inside")
@@ -67,10 +67,10 @@ def stars(graph: Graph, members: DataFrame, big: DataFrame, hops: int, scope: st
     if scope == "cluster":
         own = induced(graph, inside)
         arcs = own.select(*keys, "u", "v", "w").unionByName(own.select(*keys, F.col("v").alias("u"), F.col("u").alias("v"), "w")).repartition(graph.partitions, "u").persist()
-        dist = search(arcs, start, keys, hops, graph.partitions, arc_keys=tuple(keys), phase="stars", ledger=ledger)
+        dist = search(arcs, start, keys, hops, graph.partitions, arc_keys=tuple(keys), phase="stars", ledger=ledger, nodes=graph.n)
     else:
         arcs = None
-        dist = search(graph.arcs, start, keys, hops, graph.partitions, phase="stars", ledger=ledger)
+        dist = search(graph.arcs, start, keys, hops, graph.partitions, phase="stars", ledger=ledger, nodes=graph.n)
     row = inside.where("v <> center").join(dist.select(*keys, "v", "d"), [*keys, "v"], "left")
     out = cut(row.select(*keys, F.least("center", "v").alias("u"), F.greatest("center", "v").alias("v"), F.coalesce(F.least("d", "dtree"), "dtree").alias("w")), "stars")
     if arcs is not None:
@@ -78,7 +78,7 @@ def stars(graph: Graph, members: DataFrame, big: DataFrame, hops: int, scope: st
     return out
 
 
-def center_clique(graph: Graph, big: DataFrame, hops: int, radius: int | None = None, weights: str = "exact", eps: float = 0.1, clique_scope: str = "all", ledger: Ledger | None = None) -> DataFrame:
+def center_clique(graph: Graph, big: DataFrame, hops: int | None, radius: int | None = None, weights: str = "exact", eps: float = 0.1, clique_scope: str = "all", ledger: Ledger | None = None) -> DataFrame:
     """(u, v, w): edges between large clusters' centres within ``hops`` edges; auxiliary edges are not returned."""
     sources = big.select(F.col("center").alias("src")).distinct()
     if weights == "approx":
@@ -160,7 +160,7 @@ def build_sequential(graph: Graph, params: HopsetParams) -> HopsetResult:
     ledger, n = Ledger(), graph.n
     beta = default_beta(n, params)
     graph.roots = cut(components(graph).select(F.col("comp").alias("src")).distinct(), "roots")
-    farthest, _ = reach(graph, 4000)
+    farthest, _ = reach(graph, None)
     made = None
     for kappa in range(least_scale(beta), max(least_scale(beta) + 1, math.ceil(math.log2(max(2, 2 * farthest))))):
         from hopline.plans.cover import neighborhood
@@ -171,9 +171,9 @@ def build_sequential(graph: Graph, params: HopsetParams) -> HopsetResult:
         rows = small_edges(graph, members, sized, params, params.seed + kappa).select("u", "v", "w", "kind", "rep", "center")
         big = sized.where("is_big")
         if not big.isEmpty():
-            star = stars(graph, members, big, 4000)
+            star = stars(graph, members, big, None)
             rows = rows.unionByName(star.select("u", "v", "w", F.lit("star").alias("kind"), "rep", "center"))
-            pair = center_clique(graph, big, 4000, 4 * big_r)
+            pair = center_clique(graph, big, None, 4 * big_r)
             rows = rows.unionByName(pair.select("u", "v", "w", F.lit("clique").alias("kind"), F.lit(-1).alias("rep"), F.col("u").alias("center")))
         best = rows.groupBy("u", "v").agg(F.min(F.struct("w", "kind", "rep", "center")).alias("best"))
         part = cut(best.select("u", "v", "best.w", F.lit(kappa).alias("scale"), "best.kind", "best.rep", "best.center"), f"scale{kappa}")

@@ -1,8 +1,11 @@
 """Distances by synchronous relaxation: from many sources at once, hop-limited, radius-limited, keyed by cluster.
 
 A round joins the rows that improved in the round before with the arcs that leave their node and keeps the least
-offer for each (key, node). Distance and hop count share one BIGINT (``d * 2^HOP_BITS + hops``), so the minimum is a
+offer for each (key, node). Distance and hop count share one BIGINT (``d * 2^bits + hops``), so the minimum is a
 hash aggregate, the least distance wins and the fewest hops break ties. After i rounds the state is exactly d^i.
+
+Best paths are simple, so the hop limit or the number of nodes, whichever is less, gives the bits; where neither is
+known there are HOP_BITS, and a search with more rounds fails. A distance that doesn't fit beside them fails as well.
 """
 
 from __future__ import annotations
@@ -13,37 +16,44 @@ from pyspark.sql import functions as F
 from hopline.model import Graph
 from hopline.plans.rounds import Ledger, loop
 
-HOP_BITS = 12
+HOP_BITS = 20
+
+
+def hop_bits(hops: int | None, nodes: int | None) -> int:
+    """Bits that hold the hops of every offer of a search."""
+    known = [x for x in (hops, nodes) if x is not None]
+    return max(1, min(known).bit_length()) if known else HOP_BITS
 
 
-def pack(d: Column, hops: Column) -> Column:
-    return F.shiftleft(d.cast("long"), HOP_BITS) + hops
+def _longer(p: Column, w: Column, bits: int) -> Column:
+    """The packed value one edge on."""
+    fits = w < F.shiftright(F.lit(2**63 - 1) - p, bits)
+    return F.when(fits, p + F.shiftleft(w, bits) + 1).otherwise(F.raise_error(F.lit("a distance exceeds the packed state")).cast("long"))
 
 
-def _unpacked(state: DataFrame, keys: list[str]) -> DataFrame:
-    return state.select(*keys, "v", F.shiftright("p", HOP_BITS).alias("d"), (F.col("p").bitwiseAND((1 << HOP_BITS) - 1)).cast("int").alias("hops"))
+def _unpacked(state: DataFrame, keys: list[str], bits: int) -> DataFrame:
+    return state.select(*keys, "v", F.shiftright("p", bits).alias("d"), (F.col("p").bitwiseAND((1 << bits) - 1)).cast("int").alias("hops"))
 
 
-def search(arcs: DataFrame, seeds: DataFrame, keys: list[str], hops: int | None, partitions: int, radius: int | Column | None = None, arc_keys: tuple = (), delta: bool = True, phase: str = "search", ledger: Ledger | None = None, prune: DataFrame | None = None) -> DataFrame:
+def search(arcs: DataFrame, seeds: DataFrame, keys: list[str], hops: int | None, partitions: int, radius: int | Column | None = None, arc_keys: tuple = (), delta: bool = True, phase: str = "search", ledger: Ledger | None = None, prune: DataFrame | None = None, nodes: int | None = None) -> DataFrame:
     """``seeds``: keys and v at distance 0. ``arcs``: (u, v, w), with those of the keys that ``arc_keys`` names. ``prune``: (v,
-    cap): offers to v must lie below the cap. Returns keys, v, d, hops."""
-    if hops is not None and hops >= 1 << HOP_BITS:
-        raise ValueError("more hops than the packed state holds")
+    cap): offers to v must lie below the cap. ``nodes``: how many nodes the arcs join. Returns keys, v, d, hops."""
+    bits = hop_bits(hops, nodes)
     start = seeds.select(*keys, "v", F.lit(0).cast("long").alias("p"), F.lit(True).alias("fresh")).repartition(partitions, "v")
     out = arcs.select(*arc_keys, F.col("u").alias("from"), F.col("v").alias("to"), "w")
 
     def step(state: DataFrame) -> DataFrame:
         front = state.where("fresh") if delta else state
-        offers = front.withColumnRenamed("v", "from").join(out, [*arc_keys, "from"]).select(*keys, F.col("to").alias("v"), (F.col("p") + F.shiftleft("w", HOP_BITS) + 1).alias("p"), F.lit(None).cast("long").alias("old"))
+        offers = front.withColumnRenamed("v", "from").join(out, [*arc_keys, "from"]).select(*keys, F.col("to").alias("v"), _longer(F.col("p"), F.col("w"), bits).alias("p"), F.lit(None).cast("long").alias("old"))
         if radius is not None:
-            offers = offers.where(F.shiftright("p", HOP_BITS) <= radius)
+            offers = offers.where(F.shiftright("p", bits) <= radius)
         if prune is not None:
-            offers = offers.join(prune, "v", "left").where(F.col("cap").isNull() | (F.shiftright("p", HOP_BITS) < F.col("cap"))).select(*keys, "v", "p", "old")
+            offers = offers.join(prune, "v", "left").where(F.col("cap").isNull() | (F.shiftright("p", bits) < F.col("cap"))).select(*keys, "v", "p", "old")
         both = state.select(*keys, "v", "p", F.col("p").alias("old")).unionByName(offers).repartition(partitions, "v")
         merged = both.groupBy(*keys, "v").agg(F.min("p").alias("p"), F.min("old").alias("old"))
         return merged.select(*keys, "v", "p", (F.col("old").isNull() | (F.col("p") < F.col("old"))).alias("fresh"))
 
-    return _unpacked(start if hops == 0 else loop(start, step, hops, phase, ledger), keys)
+    return _unpacked(start if hops == 0 else loop(start, step, hops, phase, ledger, most=(1 << bits) - 1 if hops is None and nodes is None else None), keys, bits)
 
 
 def seeds(sources: DataFrame) -> DataFrame:
@@ -52,7 +62,7 @@ def seeds(sources: DataFrame) -> DataFrame:
 
 def hop_limited(graph: Graph, sources: DataFrame, hops: int | None, delta: bool = True, radius: int | None = None, ledger: Ledger | None = None, phase: str = "search") -> DataFrame:
     """(src, v, d, hops): least length over paths of at most ``hops`` edges; all sources in the same rounds."""
-    return search(graph.arcs, seeds(sources), ["src"], hops, graph.partitions, radius, delta=delta, phase=phase, ledger=ledger)
+    return search(graph.arcs, seeds(sources), ["src"], hops, graph.partitions, radius, delta=delta, phase=phase, ledger=ledger, nodes=graph.n)
 
 
 def exact(graph: Graph, sources: DataFrame, ledger: Ledger | None = None) -> DataFrame:

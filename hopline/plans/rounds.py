@@ -31,8 +31,8 @@ class Ledger:
         return spark.createDataFrame(self.rows, "phase string, scale int, rounds int, rows_out long, messages long, seconds double")
 
 
-def loop(state: DataFrame, step: Callable[[DataFrame], DataFrame], rounds: int | None, phase: str, ledger: Ledger | None = None, every: int = CHECKPOINT_EVERY) -> DataFrame:
-    """Applies ``step`` until no row is ``fresh`` or ``rounds`` are done.
+def loop(state: DataFrame, step: Callable[[DataFrame], DataFrame], rounds: int | None, phase: str, ledger: Ledger | None = None, every: int = CHECKPOINT_EVERY, most: int | None = None) -> DataFrame:
+    """Applies ``step`` until no row is ``fresh`` or ``rounds`` are done; fails where it would need more than ``most``.
 
     Adaptive execution is off inside, so that the state keeps its partitioning by node through checkpoints and each
     round costs one exchange. Checkpoints go to reliable storage; the count of fresh rows is
@@ -42,6 +42,8 @@ def loop(state: DataFrame, step: Callable[[DataFrame], DataFrame], rounds: int |
     shared_dir(spark)
     with setting(spark, spark__sql__adaptive__enabled="false"):
         while rounds is None or done < rounds:
+            if most is not None and done + every > most:
+                raise OverflowError(f"{phase}: still open after {done} rounds")
             burst = every if rounds is None else min(every, rounds - done)
             for _ in range(burst):
                 state = step(state)

@@ -39,14 +39,15 @@ def sound(graph: Graph, hopset: DataFrame) -> DataFrame:
     return hopset.join(truth, ["u", "v"], "left").where("d_exact is null or w < d_exact")
 
 
-def effective_hopbound(graph: Graph, hopset: DataFrame | None, sources: DataFrame, eps: float, truth: DataFrame | None = None, most: int = 4000) -> int:
+def effective_hopbound(graph: Graph, hopset: DataFrame | None, sources: DataFrame, eps: float, truth: DataFrame | None = None, most: int | None = None) -> int:
     """Least number of hops within which all pairs from ``sources`` are at most (1 + eps) d.
 
-    Each round of a hop-by-hop search says how many pairs are still too long; the first at zero is the answer.
+    The limit doubles until no pair is too long, then halves the gap. ``most`` defaults to the number of nodes, which
+    no best path exceeds.
     """
     truth = (truth if truth is not None else exact(graph, sources)).select("src", "v", F.col("d").alias("d_exact")).persist()
     union = augment(graph, hopset) if hopset is not None else graph
-    lo, hi = 0, 1
+    lo, hi, most = 0, 1, graph.n if most is None else most
     good = lambda h: hop_limited(union, sources, h).join(truth, ["src", "v"], "right").where(F.col("d").isNull() | (F.col("d") > F.col("d_exact") * (1 + eps))).isEmpty()
     while hi < most and not good(hi):
         lo, hi = hi, hi * 2

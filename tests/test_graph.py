@@ -84,6 +84,19 @@ def test_star_and_path(spark):
         assert table(relax.exact(g, sources(spark, 0))) == {(0, v): d for v, d in lengths(rows, 0).items()}
 
 
+def test_hops_never_run_into_distances(spark, monkeypatch):
+    monkeypatch.setattr(relax, "HOP_BITS", 4)  # stands for a path longer than the field
+    rows = [(i, i + 1, 1) for i in range(40)]
+    g, start = make(spark, rows), sources(spark, 0)
+    assert sorted((r.v, r.d, r.hops) for r in relax.exact(g, start).collect()) == [(i, i, i) for i in range(41)]
+    assert table(relax.hop_limited(g, start, 5000)) == {(0, i): i for i in range(41)}
+    with pytest.raises(OverflowError):
+        relax.search(g.arcs, relax.seeds(start), ["src"], None, g.partitions)
+    assert verify.effective_hopbound(g, None, start, 0.0) == 40
+    with pytest.raises(Exception, match="exceeds the packed state"):
+        relax.exact(make(spark, [(1, 2, 2**62)]), sources(spark, 1)).collect()
+
+
 def test_delta_equals_full_and_partitions_do_not_matter(spark):
     g = make(spark, grid(8))
     a = table(relax.hop_limited(g, sources(spark, 0, 9), 5))
