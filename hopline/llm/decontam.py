@@ -73,16 +73,25 @@ def contained_items(docs: DataFrame, items: DataFrame) -> DataFrame:
     low = F.filter(_per_shingle(F.col("w"), hashed), lambda h: h <= F.lit(top))
     found = cut(row.select("doc_id", F.explode(low).alias("h")).join(side, "h").select("doc_id", "item_id").distinct(), "candidates")
     chosen = found.select("doc_id").distinct()
-    held = docs.select("doc_id", "text").join(chosen, "doc_id", "left_semi").select("doc_id", words(F.col("text")).alias("w"))
+    held = docs.select("doc_id", "text").join(chosen.withColumnRenamed("doc_id", "_doc"), F.col("doc_id").eqNullSafe(F.col("_doc")), "left_semi").select("doc_id", words(F.col("text")).alias("w"))
     whole = held.select("doc_id", F.explode(_per_shingle(F.col("w"), spelled)).alias("s"))
     parts = sets.select("item_id", F.size("spelled").cast("long").alias("n_item"), F.explode("spelled").alias("s"))
     parts = F.broadcast(parts) if small_enough(parts, BROADCAST_ROWS) else parts
-    both = whole.join(parts, "s").join(found, ["doc_id", "item_id"], "left_semi").select("doc_id", "item_id", "n_item", "s").distinct()
+    named = found.select(F.col("doc_id").alias("_doc"), F.col("item_id").alias("_item"))
+    same = F.col("doc_id").eqNullSafe(F.col("_doc")) & F.col("item_id").eqNullSafe(F.col("_item"))
+    both = whole.join(parts, "s").join(named, same, "left_semi").select("doc_id", "item_id", "n_item", "s").distinct()
     counted = both.groupBy("doc_id", "item_id", "n_item").agg(F.count("*").alias("n_common"))
     return counted.where(F.col("n_common") * DENOMINATOR >= F.col("n_item") * NUMERATOR).withColumn("containment", F.round(F.col("n_common") / F.col("n_item"), 6))
 
 
 def keep_clean(docs: DataFrame, items: DataFrame) -> DataFrame:
-    """Documents that contain no item; a null doc_id can't be named in a finding and is judged as its own key."""
-    flagged = contained_items(docs, items).select(F.col("doc_id").alias("_doc")).distinct()
-    return docs.join(flagged, docs.doc_id.eqNullSafe(flagged["_doc"]), "left_anti")
+    """Documents that contain no item. Without a doc_id a row is judged by its own text, not with all others that
+    have none."""
+    flagged = contained_items(docs.where("doc_id is not null"), items).select(F.col("doc_id").alias("_doc")).distinct()
+    nameless = docs.where("doc_id is null")
+    if nameless.isEmpty():
+        return docs.join(flagged, docs.doc_id == flagged["_doc"], "left_anti")
+    key = F.xxhash64("text")
+    dirty = contained_items(nameless.select(key.alias("doc_id"), "text"), items).select(F.col("doc_id").alias("_doc")).distinct()
+    clean = nameless.join(dirty, key == F.col("_doc"), "left_anti")
+    return docs.where("doc_id is not null").join(flagged, F.col("doc_id") == F.col("_doc"), "left_anti").unionByName(clean)

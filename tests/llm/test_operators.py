@@ -316,6 +316,16 @@ def test_decontamination(docs, empty, spark):
     assert {r.doc_id for r in decontam.keep_clean(table, items).collect()} == {3, 4}
 
 
+def test_decontamination_of_null_ids(spark):
+    item = prose("en", 20, 78)
+    inside = prose("fr", 50, 5) + " " + item
+    table = spark.createDataFrame([(None, inside), (None, prose("de", 40, 2)), (2, inside), (3, prose("de", 40, 3))], "doc_id long, text string")
+    items = spark.createDataFrame([(7, item), (None, prose("de", 40, 3))], "item_id long, text string")
+    got = {(r.doc_id, r.item_id, r.containment) for r in decontam.contained_items(table, items).collect()}
+    assert got == {(None, 7, 1.0), (2, 7, 1.0), (3, None, 1.0)}
+    assert [tuple(r) for r in decontam.keep_clean(table, items).collect()] == [(None, prose("de", 40, 2))]
+
+
 def test_pipeline_stages(spark, docs, empty, sf, tmp_path):
     spark.read.parquet(f"{sf}/benchmark.parquet").write.parquet(str(tmp_path / "benchmark.parquet"))
     docs.write.parquet(str(tmp_path / "documents.parquet"))
