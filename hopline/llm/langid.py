@@ -20,7 +20,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, StringType, StructType
 
-from hopline.llm.sampling import thinned
+from hopline.llm.sampling import distinct_draws, thinned
 
 WINDOW, SAMPLE = 256, 6000
 WIDTHS, FILTERS, DIM = (2, 3, 4), 10, 8
@@ -130,7 +130,7 @@ def fit(docs: DataFrame, sample: int = SAMPLE) -> dict | None:
     rows = docs.where(F.col("text").isNotNull() & F.col("lang").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id")))
     draw = F.xxhash64("text", F.lit(5))
     at = F.pmod(F.xxhash64("text", F.lit(6)), F.greatest(F.lit(1), F.length("text") - WINDOW)) + 1
-    total = docs.where(F.col("lang").isNotNull() & F.col("doc_id").isNotNull()).count()
+    total = distinct_draws(rows.select(draw.alias("draw")), "draw")
     drawn = thinned(rows.select(draw.alias("draw"), "lang", "text", at.alias("at")), "draw", sample, total)
     picked = drawn.select("draw", "lang", F.substring(F.col("text"), F.col("at").cast("int"), F.lit(WINDOW)).alias("part"))
     got = picked.groupBy("draw").agg(F.min_by("lang", F.struct("lang", "part")).alias("lang"), F.min("part").alias("part")).orderBy("draw").limit(sample).collect() if sample else []

@@ -346,3 +346,12 @@ def test_thinned_samples(spark):
     some = thinned(table, "draw", 100, 20_000)
     assert abs(some.count() - SLACK * 100) < 120
     assert [r.draw for r in some.orderBy("draw").limit(100).collect()] == [r.draw for r in table.orderBy("draw").limit(100).collect()]
+
+
+def test_copies_do_not_thin_the_sample(spark, monkeypatch):
+    seen = []
+    monkeypatch.setattr(langid, "train", lambda parts, langs: seen.append(len(parts)))
+    texts = [prose("en", 8, k) for k in range(300)] + [prose("de", 8, 1)] * 20_000
+    langid.fit(spark.createDataFrame([(k, t, "en") for k, t in enumerate(texts)], "doc_id long, text string, lang string"), sample=50)
+    langid.fit(spark.createDataFrame([(k, t, "en") for k, t in enumerate(texts[300:])], "doc_id long, text string, lang string"), sample=50)
+    assert seen == [50, 1]
