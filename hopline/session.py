@@ -64,8 +64,8 @@ def discard(df: DataFrame) -> None:
 
 
 def small_enough(df: DataFrame, max_rows: int) -> bool:
-    """Whether ``df`` has at most ``max_rows`` rows; reads no more than one row beyond that."""
-    return len(df.limit(max_rows + 1).select().collect()) <= max_rows
+    """Whether ``df`` has at most ``max_rows`` rows; counts no more than one row beyond that and moves no columns."""
+    return df.select().limit(max_rows + 1).count() <= max_rows
 
 
 @contextmanager
