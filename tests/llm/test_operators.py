@@ -240,11 +240,32 @@ def test_tokens(docs, empty, tokenizer_path):
 
 def test_token_fuzz(tokenizer_path):
     r = random.Random(4)
-    alphabet = [chr(c) for c in range(32, 384)] + ["'s", "'ll", "<|endoftext|>", "<|", "日本", "١", "ª", "\x1c", "\x85", "\xa0", "\n", "İ", "Σ", "é"]
-    counter = tokens.Counter(tokenizer_path, 10**6, 8)
-    for text in ["".join(r.choices(alphabet, k=r.randint(0, 80))) for _ in range(1500)] + ["a" * 700, "x " * 400]:
-        n = len(counter.tokenizer.encode(text, add_special_tokens=False))
-        assert counter.batch([text]) == [n] and tokens.count_long(counter.tokenizer, text, 12, 2) == n
+    alphabet = [chr(c) for c in range(32, 384)] + ["'s", "'ll", "<|endoftext|>", "<|", "日本", "。", "١", "ª", "\x1c", "\x85", "\xa0", "\n", "İ", "Σ", "é", "\u0301", "한", "½"]
+    counter = tokens.Counter(tokenizer_path, 40, 8)
+    whole = tokens.Counter(tokenizer_path, 10**6, 8)
+    for k in range(1500):
+        text = "".join(r.choices(alphabet if k % 2 else [c for c in alphabet if not c.isspace()], k=r.randint(0, 200)))
+        n = counter.encoded(text)
+        assert counter.batch([text]) == whole.batch([text]) == [n]
+    for text in ("a" * 700, "x " * 400, "a1" * 500, "日本。" * 200, "--" * 300, "aé" * 300):
+        assert counter.batch([text]) == [counter.encoded(text)]
+
+
+def test_chunks_are_spliced_once(tokenizer_path):
+    counter = tokens.Counter(tokenizer_path, 64, 16)
+    text = "  ".join(f"word{k}" for k in range(400))
+    parts = counter.spliced(text)
+    assert len(parts) > 20 and [w for p in parts for w in p if w] == text.split()
+    assert tokens.common_word(["aa", "bb", "cc"], ["b", "cc", "dd"], 4, 8) is None  # cc may go on beyond the left chunk
+    assert tokens.common_word(["aa", "bb", "cc", "d"], ["b", "cc", "dd"], 4, 10) == (2, 1)
+
+
+def test_other_tokenizer_files_are_encoded_whole(tokenizer_path):
+    path = pytest.importorskip("public_tokenizers").path("byte_bpe_50k.json")
+    counter = tokens.Counter(path, 20, 4)
+    assert tokens.Rules(tokenizer_path).known and not counter.rules.known
+    text = "two  words\n\n  and more 'll see " * 9
+    assert counter.batch([text]) == [len(counter.tokenizer.encode(text, add_special_tokens=False))]
 
 
 def test_mixing(docs, empty):
@@ -326,6 +347,30 @@ def test_decontamination_of_null_ids(spark):
     assert [tuple(r) for r in decontam.keep_clean(table, items).collect()] == [(None, prose("de", 40, 2))]
 
 
+def test_sketch_estimates_lose_no_contained_item(spark):
+    r = random.Random(8)
+    items = [(k, prose("en", 8 + 5 * k, k)) for k in range(12)]
+    docs = []
+    for k, (_, t) in enumerate(items):
+        w = t.split()
+        for j in range(6):  # some words changed: containment around the threshold
+            v = list(w)
+            for at in r.sample(range(len(v)), min(len(v), j * len(v) // 30)):
+                v[at] = "changed"
+            docs.append((100 * k + j, prose("fr", 40, j) + " " + " ".join(v) + " " + prose("de", 40, j)))
+    want = {(d, i) for d, t in docs for i, x in items if 5 * len(shingles(t) & shingles(x)) >= 4 * len(shingles(x))}
+    got = {(x.doc_id, x.item_id) for x in decontam.contained_items(spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")).collect()}
+    assert got == want and 20 < len(want) < len(docs)
+
+
+def test_rows_of_one_document_are_judged_together(spark):
+    words = prose("en", 30, 5).split()
+    halves = [(1, " ".join(words[:17])), (1, " ".join(words[13:])), (2, " ".join(words[:17]))]
+    items = spark.createDataFrame([(7, " ".join(words)), (7, " ".join(words)), (7, prose("de", 9, 1))], "item_id long, text string")
+    got = decontam.contained_items(spark.createDataFrame(halves, "doc_id long, text string"), items).collect()
+    assert [(x.doc_id, x.item_id, x.n_item, x.n_common) for x in got] == [(1, 7, 26, 26)]
+
+
 def test_pipeline_stages(spark, docs, empty, sf, tmp_path):
     spark.read.parquet(f"{sf}/benchmark.parquet").write.parquet(str(tmp_path / "benchmark.parquet"))
     docs.write.parquet(str(tmp_path / "documents.parquet"))
