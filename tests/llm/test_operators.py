@@ -193,6 +193,99 @@ def test_sharding_tears_only_what_no_shard_holds(spark, monkeypatch):
         assert sorted(homes["giant"].values()) == [40, 150, 150]
 
 
+def linked_rows():
+    """Forty topics of nine texts each; texts of a topic share a line, some texts occur twice, one line is everywhere."""
+    r = random.Random(3)
+    texts = [f"topic {t} has a line of its own\nevery text of the table has this line\ntext {t}.{k}" for t in range(40) for k in range(9)]
+    texts += [x for x in texts[::7]] + [f"lonely {k}" for k in range(120)]
+    r.shuffle(texts)
+    return list(enumerate(texts))
+
+
+def cut_by_hand(rows, shard_of):
+    """Weight of linked pairs in different shards, pair by pair."""
+    holders = defaultdict(set)
+    for _, t in rows:
+        for line in {x for x in (t or "").split("\n") if len(x) >= sharding.LEAST_LINE}:
+            holders[line].add(t)
+    ids = defaultdict(list)
+    for i, t in rows:
+        ids[t].append(i)
+    total = 0.0
+    for texts in holders.values():
+        if len(texts) > 1:
+            members = [shard_of[i] for t in texts for i in ids[t]]
+            total += sum(a != b for k, a in enumerate(members) for b in members[k + 1 :]) * (sharding.UNIT // (len(texts) - 1)) / sharding.UNIT
+    return total
+
+
+def test_propagation_lowers_the_cut(spark, monkeypatch):
+    rows = linked_rows()
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    for hot in (sharding.HOT_LEAST, 20):  # every line by shuffle; the common one by broadcast
+        monkeypatch.setattr(sharding, "HOT_LEAST", hot)
+        monkeypatch.setattr(sharding, "HOT", 40)
+        thin = sharding.thin_rows(df).persist()
+        units = thin.withColumn("u", F.xxhash64("doc_id", "g"))
+        state, report = sharding.place_units(units, 8, len(rows))
+        assert abs(cut_by_hand(rows, {r.doc_id: r.shard for r in state.collect()}) - report[-1][2]) < 1e-6
+        cuts = [c for _, _, c, _ in report]
+        assert cuts == sorted(cuts, reverse=True) and cuts[-1] < 0.9 * cuts[0] and sum(m for *_, m in report) > 0
+    out = sharding.document_shards(df).collect()
+    count = Counter(r.shard for r in out)
+    assert max(count.values()) - min(count.values()) <= 1
+    homes = defaultdict(set)
+    for r in out:
+        homes[rows[r.doc_id][1]].add(r.shard)
+    assert all(len(h) == 1 for h in homes.values())
+    assert cut_by_hand(rows, {r.doc_id: r.shard for r in out}) < cuts[0]
+
+
+def test_wishes_follow_the_neighbours(spark):
+    rows = linked_rows()
+    thin = sharding.thin_rows(spark.createDataFrame(rows, "doc_id long, text string"))
+    units = thin.groupBy("g").agg(F.count("*").alias("n"), F.any_value("lines").alias("lines")).persist()
+    links = sharding.Links(units)
+    state = units.select("g", "n", F.pmod(F.xxhash64("g"), F.lit(8)).cast("int").alias("shard"), F.lit(True).alias("movable"))
+    at = {r.g: (r.shard, r.n) for r in state.collect()}
+    lines = {r.g: r.lines for r in units.collect()}
+    by_line = defaultdict(list)
+    for g, keys in lines.items():
+        for k in keys:
+            by_line[k].append(g)
+    labelled = links.labelled(state)
+    got = {r.g: (r.goal, r.gain) for r in sharding.wishes(labelled, [sharding.counted(x, 8) for x in labelled], 8).collect()}
+    for g, (own, _) in at.items():
+        pull = [0] * 8
+        for k in lines[g]:
+            if len(by_line[k]) > 1:
+                for other in by_line[k]:
+                    if other != g:
+                        pull[at[other][0]] += at[other][1] * (sharding.UNIT // (len(by_line[k]) - 1))
+        gain = max(pull) - pull[own]
+        assert (g in got) == (gain > 0)
+        if gain > 0:
+            assert got[g][1] == gain and pull[got[g][0]] == max(pull)
+
+
+def test_quotas():
+    flows = {(0, 1, False): [(1, 30), (2, 30)], (1, 0, False): [(1, 30)], (0, 1, True): [(0, 10), (5, 50)]}
+    total, grouped, size = [100, 100], [40, 60], [100, 100]
+    done = sharding.admit(flows, total, grouped, size)
+    assert sum(total) == 200 and max(total) <= 102 and max(grouped) <= 100
+    assert done[1, 0, False] == 1 and done[0, 1, False] >= 1
+
+
+def test_shard_deals_every_copy_once(spark, monkeypatch):
+    monkeypatch.setattr(sharding, "COPIES", 7)
+    rows = [(1, "same text", "a")] * 50 + [(1, "same text", "b")] * 9 + [(None, None, "c")] * 5 + [(k, f"text {k}", "d") for k in range(2, 30)]
+    out = sharding.shard(spark.createDataFrame(rows, "doc_id long, text string, source string")).collect()
+    assert Counter((r.doc_id, r.text, r.source) for r in out) == Counter(rows)
+    count = Counter(r.shard for r in out)
+    assert max(count.values()) - min(count.values()) <= 1
+    assert all(sorted(r.slot for r in out if r.shard == s) == list(range(count[s])) for s in count)
+
+
 def test_language(docs, empty):
     out = langid.identify(docs).collect()
     assert len(out) == docs.count()
