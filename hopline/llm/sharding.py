@@ -167,20 +167,36 @@ def wishes(labelled: tuple[DataFrame, DataFrame], counts: list[DataFrame], shard
 
 
 def admit(flows: dict[tuple, list[tuple[int, int]]], total: list[int], grouped: list[int], size: list[int]) -> dict[tuple, int]:
-    """How many leading slices (place, documents) of each flow (from, to, several) move; updates both counts by shard."""
-    done, progress = dict.fromkeys(flows, 0), True
-    while progress:
-        progress = False
-        for f in sorted((f for f in flows if done[f] < len(flows[f])), key=lambda f: (flows[f][done[f]][0], f)):
-            a, b, several = f
+    """How many leading slices (place, documents) of each flow (from, to, several) move; updates both counts by shard.
+
+    A slice moves alone while its goal has room, else together with the next slice of an opposite flow.
+    """
+    done = dict.fromkeys(flows, 0)
+
+    def moves(picked: tuple) -> bool:
+        change, change_grouped = [0] * len(size), [0] * len(size)
+        for f in picked:
             n = flows[f][done[f]][1]
-            if total[b] + n <= size[b] * (1 + SLACK) + 1 and (not several or grouped[b] + n <= size[b]):
-                total[a], total[b] = total[a] - n, total[b] + n
-                if several:
-                    grouped[a], grouped[b] = grouped[a] - n, grouped[b] + n
-                done[f] += 1
-                progress = True
-    return done
+            for s, x in ((f[0], -n), (f[1], n)):
+                change[s] += x
+                change_grouped[s] += x * f[2]
+        ok = all(x <= 0 or total[s] + x <= size[s] * (1 + SLACK) + 1 for s, x in enumerate(change))
+        if not ok or not all(x <= 0 or grouped[s] + x <= size[s] for s, x in enumerate(change_grouped)):
+            return False
+        for s in range(len(size)):
+            total[s] += change[s]
+            grouped[s] += change_grouped[s]
+        for f in picked:
+            done[f] += 1
+        return True
+
+    while True:
+        open_ = sorted((f for f in flows if done[f] < len(flows[f])), key=lambda f: (flows[f][done[f]][0], f))
+        if any([done[f] < len(flows[f]) and moves((f,)) for f in open_]):
+            continue
+        back = [(f, (f[1], f[0], k)) for f in open_ for k in (False, True) if (f[1], f[0], k) in flows]
+        if not any([all(done[x] < len(flows[x]) for x in pair) and moves(pair) for pair in back]):
+            return done
 
 
 def propagate(units: DataFrame, state: DataFrame, links: Links, totals: list[int], shards: int, total: int, rounds: int = ROUNDS) -> tuple[DataFrame, list[tuple]]:
