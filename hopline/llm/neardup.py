@@ -10,9 +10,11 @@
    on full shingle sets.
 4. What a star can't decide is decided between components only: buckets whose members lie in several components
    compare the members outside the bucket's largest component with all members. Small buckets do so by an equi-join;
-   large ones are cut into blocks of ``BLOCK`` x ``BLOCK`` members that are compared with numpy, first with each
-   member's best partner only (which joins most components), then with all surviving partners, confirmed on the spot
-   so that only links leave the block. No bucket is capped and no pair within a component is compared.
+   large ones are cut into blocks of at most ``BLOCK`` x ``BLOCK`` members (fewer where their sets exceed
+   ``BLOCK_BYTES``) that are compared with numpy, first with each member's best partner only (which joins most
+   components and ships signatures alone), then with all surviving partners, confirmed on the spot so that only links
+   leave the block: survivors that are no links can number the square of a bucket. For that pass sets come along, each
+   as often as a bucket has blocks. No bucket is capped and no pair within a component is compared.
 5. Links are closed to components by minimum-label propagation with pointer jumping.
 
 The thin query links at 85/100, the contract of its SQL; the pipeline's stage passes 80/100.
@@ -42,7 +44,8 @@ HASHES = BANDS * ROWS
 WIDTH = 5
 NUMERATOR, DENOMINATOR = 85, 100
 MISS = 1e-4
-BLOCK, SMALL = 512, 24
+LINK = "a binary, b binary"  # classes are named by the 128-bit digest of their set
+BLOCK, BLOCK_BYTES, SMALL = 2048, 48 << 20, 24
 _FACTORS = np.random.default_rng(20240607).integers(1, 2**63, HASHES, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
 
@@ -162,9 +165,11 @@ def _blocks(threshold: float, num: int, den: int, best_only: bool):
             band = int(second.band.iloc[0])
             grid = matrix.reshape(len(matrix), bands, -1)
             sets = None if best_only else second["items"].to_numpy()
-            ids, comps, sizes = second.cls.to_numpy(), second.comp.to_numpy(), second.n.to_numpy()
-            for x in first.itertuples(index=False):
-                other = np.flatnonzero((comps != x.comp) & (np.minimum(sizes, x.n) >= threshold * np.maximum(sizes, x.n)))
+            ids, sizes = second.cls.tolist(), second.n.to_numpy()
+            codes = pd.factorize(pd.concat([first.comp, second.comp]))[0]
+            mine_in, comps = codes[: len(first)], codes[len(first) :]
+            for own_comp, x in zip(mine_in, first.itertuples(index=False), strict=True):
+                other = np.flatnonzero((comps != own_comp) & (np.minimum(sizes, x.n) >= threshold * np.maximum(sizes, x.n)))
                 if not len(other):
                     continue
                 mine = np.frombuffer(x.sig, np.uint32)
@@ -178,8 +183,8 @@ def _blocks(threshold: float, num: int, den: int, best_only: bool):
                     other = other[shared.argmax(axis=1) == band]
                     other = other[[_is_link(own, np.frombuffer(sets[k], np.uint64), num, den) for k in other]] if len(other) else other
                 if len(other):
-                    found.append(pd.DataFrame({"a": np.minimum(ids[other], x.cls), "b": np.maximum(ids[other], x.cls)}))
-        return pd.concat(found) if found else pd.DataFrame({"a": pd.Series(dtype="int64"), "b": pd.Series(dtype="int64")})
+                    found.append(pd.DataFrame([sorted((ids[k], x.cls)) for k in other], columns=["a", "b"]))
+        return pd.concat(found) if found else pd.DataFrame({"a": [], "b": []}, dtype=object)
 
     return run
 
@@ -195,13 +200,13 @@ class NearDuplicates:
         self.num, self.den, self.threshold = num, den, num / den
         self.docs = docs.select("doc_id", "text", text_key(F.col("text")).alias("text_key"))
         sketch = self.docs.mapInArrow(_sketches, "doc_id long, text_key long, n_shingles long, digest binary, sig binary, bands array<long>")
-        self.sketch = cut(sketch.withColumn("cls", F.xxhash64("digest", F.lit(7))), "sketch")
+        self.sketch = cut(sketch.withColumnRenamed("digest", "cls"), "sketch")
         filled = self.sketch.where("n_shingles > 0")
         self.classes = cut(filled.groupBy("cls").agg(F.first("n_shingles").alias("n"), F.first("sig").alias("sig"), F.first("bands").alias("bands"), F.min(F.struct("doc_id", "text_key")).alias("doc")), "classes")
 
     def _buckets(self) -> DataFrame:
-        """(bucket, band, cls) for buckets with several classes."""
-        rows = self.classes.select("cls", F.posexplode("bands").alias("band", "bucket"))
+        """(bucket, band, cls, n, size, hub) for buckets with several classes."""
+        rows = self.classes.select("cls", "n", F.posexplode("bands").alias("band", "bucket"))
         many = rows.groupBy("bucket", "band").agg(F.count("*").alias("size"), F.min("cls").alias("hub")).where("size > 1")
         return cut(rows.join(many, ["bucket", "band"]), "buckets")
 
@@ -210,29 +215,31 @@ class NearDuplicates:
             sig = self.classes.select("cls", "sig", "n")
             a, b = (sig.select(F.col("cls").alias(c), F.col("sig").alias(f"sig_{c}"), F.col("n").alias(f"n_{c}")) for c in "ab")
             near = pairs.join(a, "a").join(b, "b").where(F.least("n_a", "n_b") * self.den >= F.greatest("n_a", "n_b") * self.num)
-            pairs = near.select("a", "b", "sig_a", "sig_b").mapInArrow(_sequential(self.threshold), "a long, b long")
+            pairs = near.select("a", "b", "sig_a", "sig_b").mapInArrow(_sequential(self.threshold), LINK)
         a, b = (self.items.select(F.col("cls").alias(c), F.col("items").alias(f"items_{c}")) for c in "ab")
-        return cut(pairs.join(a, "a").join(b, "b").mapInArrow(_confirm(self.num, self.den), "a long, b long"), "links")
+        return cut(pairs.join(a, "a").join(b, "b").mapInArrow(_confirm(self.num, self.den), LINK), "links")
 
     def _mixed(self, buckets: DataFrame, labels: DataFrame) -> tuple[DataFrame, DataFrame]:
         """Members of buckets that hold several components: small buckets, large buckets."""
-        member = buckets.select("bucket", "band", "cls", "size").join(labels, "cls", "left").withColumn("comp", F.coalesce("comp", "cls"))
-        per = member.groupBy("bucket", "band", "comp").agg(F.count("*").alias("rows"))
-        mixed = per.groupBy("bucket", "band").agg(F.max_by("comp", F.struct("rows", "comp")).alias("main"), F.max("rows").alias("most"), F.sum("rows").alias("all"), F.count("*").alias("comps")).where("comps > 1")
+        member = buckets.select("bucket", "band", "cls", "n", "size").join(labels, "cls", "left").withColumn("comp", F.coalesce("comp", "cls"))
+        per = member.groupBy("bucket", "band", "comp").agg(F.count("*").alias("rows"), F.sum("n").alias("items"))
+        mixed = per.groupBy("bucket", "band").agg(F.max_by("comp", F.struct("rows", "comp")).alias("main"), F.max("rows").alias("most"), F.sum("rows").alias("all"), F.sum("items").alias("items_all"), F.count("*").alias("comps")).where("comps > 1")
         member = cut(member.join(mixed, ["bucket", "band"]), "mixed")
         return member.where(F.col("size") <= SMALL), member.where(F.col("size") > SMALL)
 
     def _across(self, large: DataFrame, best_only: bool) -> DataFrame:
         """By blocks of large buckets: the best pair of each member outside, or all confirmed links."""
-        row = large.join(self.classes.select("cls", "sig", "n"), "cls")
+        row = large.join(self.classes.select("cls", "sig"), "cls")
         row = row if best_only else row.join(self.items, "cls")
-        outside = F.greatest(F.lit(1), F.ceil((F.col("all") - F.col("most")) / BLOCK)).cast("int")
-        inside = F.ceil(F.col("all") / BLOCK).cast("int")
+        per_row = F.lit(0) if best_only else F.col("items_all") * 8 / F.col("all") / BLOCK_BYTES  # blocks by the bytes of the sets
+        rows = F.greatest(F.col("all") - F.col("most"), F.lit(1))
+        outside = F.greatest(F.ceil(rows / BLOCK), F.ceil(rows * per_row)).cast("int")
+        inside = F.greatest(F.ceil(F.col("all") / BLOCK), F.ceil(F.col("all") * per_row)).cast("int")
         keep = ["bucket", "band", "cls", "comp", "sig", "n", *([] if best_only else ["items"])]
         first = row.where("comp <> main").select(*keep, F.lit(0).alias("role"), F.pmod(F.xxhash64("cls", F.lit(1)), outside).alias("i"), F.explode(F.sequence(F.lit(0), inside - 1)).alias("j"))
         second = row.select(*keep, F.lit(1).alias("role"), F.explode(F.sequence(F.lit(0), outside - 1)).alias("i"), F.pmod(F.xxhash64("cls", F.lit(2)), inside).alias("j"))
         both = first.select(second.columns).unionByName(second).select(*keep, "role", F.col("i").cast("long"), F.col("j").cast("long"))
-        return both.groupBy("bucket", "band", "i", "j").applyInPandas(_blocks(self.threshold, self.num, self.den, best_only), "a long, b long").distinct()
+        return both.groupBy("bucket", "band", "i", "j").applyInPandas(_blocks(self.threshold, self.num, self.den, best_only), LINK).distinct()
 
     def labels(self) -> DataFrame:
         """(cls, comp) for classes that are linked with another class."""
@@ -241,7 +248,7 @@ class NearDuplicates:
         rep = self.classes.join(wanted, "cls", "left_semi").select("cls", F.col("doc.doc_id").alias("doc_id"), "doc.text_key")
         rep = rep.withColumnRenamed("doc_id", "rep_id").withColumnRenamed("text_key", "rep_key")
         docs = self.docs.join(rep, self.docs.doc_id.eqNullSafe(rep.rep_id) & (self.docs.text_key == rep.rep_key))
-        self.items = cut(docs.select("cls", "text").mapInArrow(_full_sets, "cls long, items binary").dropDuplicates(["cls"]), "sets")
+        self.items = cut(docs.select("cls", "text").mapInArrow(_full_sets, "cls binary, items binary").dropDuplicates(["cls"]), "sets")
         star = buckets.where("cls <> hub").select(F.col("hub").alias("a"), F.col("cls").alias("b")).distinct()
         links = self._links(star)
         labels = connected_labels(links)
