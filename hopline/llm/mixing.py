@@ -7,13 +7,14 @@ exponents, so any number of sources works and only sums reach the driver.
 
 The budget of tokens is given, or ``None`` for the least budget under which every document appears (no source is cut
 short). Source s gets w_s x budget tokens: whole passes over its documents, then part of one. A pass permutes blocks
-of about ``BLOCK_ROWS`` documents by a seeded hash and documents within a block by another; the last pass ends within
+of about ``BLOCK_ROWS`` documents (at most ``BLOCKS`` a source, then larger ones, so that the order of a source's blocks
+fits one task) by a seeded hash and documents within a block by another; the last pass ends within
 one block, at the document that reaches the budget. Only that block's rows are ranked, so a hot source never meets in
 one task.
 
 Defined cases: a null source is a source of its own; documents without words carry no tokens and go along with their
-block; sources without tokens get weight 0 and one pass; repeated rows are rows like any other; an empty table gives
-an empty result; extra columns are carried along by :func:`mix` and ignored by :func:`plan`.
+block; sources without tokens get weight 0 and one pass; repeated rows (same id and text) share their order value, so they
+lie in one block and the last pass takes all or none of them; an empty table gives an empty result; extra columns are carried along by :func:`mix` and ignored by :func:`plan`.
 """
 
 from __future__ import annotations
@@ -25,7 +26,7 @@ from pyspark.sql import functions as F
 
 from hopline.session import cut
 
-BLOCK_ROWS, SEED = 1000, 20
+BLOCK_ROWS, BLOCKS, SEED = 1000, 20_000, 20
 REPETITION = 2.0
 GRID, ROUNDS = 33, 5
 
@@ -88,7 +89,7 @@ def _blocks(thin: DataFrame, repetition: float | None, entropy: float | None, bu
     goal = sources.withColumn("weight", share).withColumn("goal", F.col("weight") * total)
     # Rounded to whole tokens, so that an exact number of passes stays one.
     goal = goal.withColumn("goal", F.round("goal")).withColumn("passes", F.when(F.col("tokens") > 0, F.floor(F.col("goal") / F.col("tokens"))).otherwise(1).cast("int"))
-    goal = goal.withColumn("rest", F.col("goal") - F.col("passes") * F.col("tokens")).withColumn("_blocks", F.ceil(F.col("rows") / BLOCK_ROWS).cast("int"))
+    goal = goal.withColumn("rest", F.col("goal") - F.col("passes") * F.col("tokens")).withColumn("_blocks", F.least(F.ceil(F.col("rows") / BLOCK_ROWS), F.lit(BLOCKS)).cast("int"))
     goal = cut(goal.select("_source", "_blocks", "weight", "passes", "rest"), "goals")
     dealt = thin.join(goal.select("_source", "_blocks"), "_source").withColumn("_block", F.pmod(F.hash("_order"), "_blocks"))
     sums = dealt.groupBy("_source", "_block").agg(F.sum("_tokens").alias("held")).join(goal, "_source")
