@@ -3,10 +3,10 @@
 P(grade > k) = sigmoid(score - threshold_k) with one weight vector for all grades and ordered thresholds. Features:
 presence of hashed words that at least ``MIN_DF`` training texts hold, scaled by how unevenly the grades use them, and root frequencies of hashed trigrams over
 byte classes (letters, digits, blanks; other bytes stand for themselves), which see markup, tables and shouting. Grades come from labels: 0 toxic, 1 low quality, 2 good. Training is numpy on the driver, on a bounded
-sample of labelled texts; scoring reads every byte of every text.
+sample of labelled texts (``SAMPLE`` documents, ``SAMPLE_BYTES`` characters in all); scoring reads every byte of every text.
 
 Defined cases: a null or blank text has no features and scores as such; labels with a null in id or grade are left
-out; repeated labels of a document weigh as often; without labels every document gets null grades and is kept;
+out; a document with several labels has its lowest grade; without labels every document gets null grades and is kept;
 extra columns are ignored.
 """
 
@@ -19,10 +19,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from hopline.llm.sampling import thinned
+from hopline.llm.sampling import SLACK, distinct_draws, thinned
 from hopline.llm.textvec import WordReader
 
-SAMPLE, MIN_DF = 10_000, 5
+SAMPLE, SAMPLE_BYTES, MIN_DF = 10_000, 100_000_000, 5
 STYLE, WORDS = 4096, 1 << 20
 STEPS, RATE, DECAY = 250, 0.05, 1e-3
 GRADES = 3
@@ -140,13 +140,24 @@ def _score(model: dict | None):
     return run
 
 
-def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> dict | None:
+def sampled(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> DataFrame:
+    """(doc_id, grade, text): at most ``sample`` labelled documents, one row an id (its least text by hash), the first
+    ``SAMPLE_BYTES // sample`` characters of each. Repeats in either table don't enlarge it."""
     known = labels.where("doc_id is not null and quality is not null and toxic is not null")
     grade = F.when(F.col("toxic") == 1, 0).when(F.col("quality") == 0, 1).otherwise(2)
-    drawn = thinned(known.select("doc_id", grade.alias("grade"), F.xxhash64("doc_id", F.lit(13)).alias("draw")), "draw", sample, known.count())
-    picked = drawn.orderBy("draw", "grade").limit(sample).select("doc_id", "grade")
-    text = docs.select("doc_id", "text").where("text is not null").join(F.broadcast(picked), "doc_id")
-    got = text.select("grade", "text").mapInArrow(_features, "grade int, words array<int>, ids array<int>, vals array<float>").collect()
+    each = known.select("doc_id", grade.alias("grade"), F.xxhash64("doc_id", F.lit(13)).alias("draw"))
+    total = distinct_draws(each.select("draw"), "draw")
+    # A document with several labels has its lowest grade. SLACK times the sample is drawn: ids without a text fall out.
+    picked = thinned(each, "draw", sample, total).groupBy("doc_id", "draw").agg(F.min("grade").alias("grade")).orderBy("draw").limit(SLACK * sample)
+    text = docs.select("doc_id", F.substring("text", 1, SAMPLE_BYTES // max(1, sample)).alias("text"), F.xxhash64("text").alias("hash")).where("text is not null")
+    joined = text.join(F.broadcast(picked), "doc_id")
+    one = joined.groupBy("doc_id", "draw", "grade").agg(F.min_by("text", "hash").alias("text"))
+    return one.orderBy("draw").limit(sample).select("doc_id", "grade", "text")
+
+
+def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> dict | None:
+    text = sampled(docs, labels, sample).select("grade", "text")
+    got = text.mapInArrow(_features, "grade int, words array<int>, ids array<int>, vals array<float>").collect()
     return train([r.grade for r in got], [r.words for r in got], [r.ids for r in got], [r.vals for r in got]) if len({r.grade for r in got}) > 1 else None
 
 
