@@ -2,7 +2,8 @@
 
 A URL's host runs from after the first ``://`` to ``/``, ``?``, ``#`` or the end (A-Z lower-cased), its path from
 there to ``?``, ``#`` or the end. A rule (host, path, verdict) fits its host and all subdomains when the URL's path
-starts with the rule's. Expansions are formed for every host suffix at a label border and every rule path length.
+starts with the rule's. Expansions are formed for every host suffix of as many labels as some rule has, and every rule
+path length, so a host of very many labels adds no more than a short one.
 They meet the rules on the first 8 hex digits of SHA-256, then the whole digest must agree. The longest rule wins;
 at equal length the longer host, then ``block``.
 
@@ -35,10 +36,12 @@ def judge(pages: DataFrame, rules: DataFrame, default: str = DEFAULT) -> DataFra
     rules = rules.select(F.translate("host", _UPPER, _LOWER).alias("rule_host"), F.col("path").alias("rule_path"), F.col("verdict").alias("rule_verdict"))
     keyed = rules.withColumn("digest", F.sha2(F.concat("rule_host", F.lit("\n"), "rule_path"), 256)).withColumn("short", F.substring("digest", 1, 8))
     lengths = sorted(r[0] for r in rules.select(F.length("rule_path")).distinct().collect())
+    most = rules.agg(F.max(F.size(F.split("rule_host", r"\.")))).first()[0] or 1
     parts = split_url(pages)
     urls = parts.where("host <> ''").select("host", "path").distinct()
     labels = F.split("host", r"\.")
-    suffixes = F.transform(F.sequence(F.lit(1), F.size(labels)), lambda k: F.array_join(F.slice(labels, k, F.size(labels)), "."))
+    last = F.slice(labels, -F.least(F.size(labels), F.lit(most)), F.lit(most))
+    suffixes = F.transform(F.sequence(F.lit(1), F.size(last)), lambda k: F.array_join(F.slice(last, k, F.size(last)), "."))
     prefixes = F.filter(F.array(*[F.lit(n) for n in lengths]), lambda n: n <= F.length("path"))
     grown = urls.withColumn("suffix", F.explode(suffixes)).withColumn("n", F.explode(prefixes))
     grown = grown.withColumn("full", F.sha2(F.concat("suffix", F.lit("\n"), F.expr("substring(path, 1, n)")), 256)).withColumn("short", F.substring("full", 1, 8))
