@@ -139,11 +139,75 @@ def test_sequences(spark):
     assert got[1].payload_bytes is None and got[1].caption == "A cap" and got[3].payload_bytes == 64
 
 
+def test_captions_and_unclosed_elements(spark):
+    plain = lambda html: [(x["kind"], x["text"], x["digest"]) for x in media.parse_sequence(html)]
+    both = [("media", "over both", "src:a"), ("media", "over both", "src:b")]
+    assert plain("<figure><figcaption>over both</figcaption><img src=a><img src=b></figure>") == both
+    assert plain("<figure><img src=a><img src=b alt=x><figcaption>over both</figure>") == both
+    assert plain("<figure><img src=a alt=one></figure><img src=b alt=two>") == [("media", "one", "src:a"), ("media", "two", "src:b")]
+    assert plain("<head><title>t</title><body><p>shown</p>") == plain("<head><meta x><p>shown") == [("text", "shown", None)]
+    assert plain("<p>a</p><script>never closed") == [("text", "a", None), ("text", "never closed", None)]
+    pages = spark.createDataFrame([(1, "a<img src=x alt=y>b", 3), (2, None, 3), (None, "c", 3)], "page_id long, html string, pos int")
+    got = sorted((str(r.page_id), r.pos, r.kind, r.text) for r in media.page_sequences(pages).collect())
+    assert got == [("1", 0, "text", "a"), ("1", 1, "media", "y"), ("1", 2, "text", "b"), ("None", 0, "text", "c")]
+
+
+def test_payloads_are_stored_once_and_measured(spark):
+    import numpy as np
+
+    docs = spark.createDataFrame([(k, "same payload" if k < 50 else f"é {k}") for k in range(60)], "doc_id long, text string").coalesce(1)
+    store = docs.select("text").mapInArrow(media._stored, "digest string, n_bytes long, media binary")
+    assert store.count() == 11
+    for r in media.document_media(docs).collect():
+        raw = ("same payload" if r.doc_id < 50 else f"é {r.doc_id}").encode()
+        x = np.frombuffer(raw + bytes(64 - len(raw)), np.uint8)
+        p = np.bincount(x, minlength=256) / 64
+        want = f"rows=1|mean={x.mean():.3f}|spread={x.std():.3f}|entropy={-(p[p > 0] * np.log2(p[p > 0])).sum():.3f}|bands=" + "/".join(f"{v:.3f}" for v in p.reshape(8, 32).sum(axis=1))
+        assert r.feature.endswith(want) and r.feature.startswith("parts=2|media@1|caption=")
+
+
+def licenses_by_hand(text):
+    """(units, windows, best) by licence, window by window."""
+    out = defaultdict(lambda: [0, 0, 0.0])
+    probe = set(license.probes()[0])
+
+    def compare(w, name, template, kind):
+        a, b = ({" ".join(x) for x in zip(v, v[1:])} for v in (w, license.template_words(template)))
+        if a and 5 * 2 * len(a & b) >= 4 * (len(a) + len(b)):
+            out[name][kind] += 1
+            out[name][2] = max(out[name][2], round(2 * len(a & b) / (len(a) + len(b)), 6))
+
+    lines = text.split("\n")
+    for unit in lines + ([text] if len(lines) > 1 else []):
+        for name, template in license.TEMPLATES:
+            compare(license.template_words(unit), name, template, 0)
+    w = license.template_words(text)
+    for name, template in license.TEMPLATES:
+        v = license.template_words(template)
+        pairs = [" ".join(x) for x in zip(v, v[1:])]
+        starts = {i - j for i, x in enumerate(zip(w, w[1:])) for j, y in enumerate(pairs) if " ".join(x) == y and y in probe}
+        for s in starts:
+            compare(w[max(s, 0) : max(0, s + len(v))], name, template, 1)
+    return {k: tuple(x) for k, x in out.items() if x[0] or x[1]}
+
+
 def test_licenses(docs, empty, spark):
     assert license.scan(docs).count() == 0 and license.scan(empty).count() == 0
-    texts = ["x\nReleased under the MIT License.\ny", "RELEASED under; the mit license", "Released under some other kind of license", None, "Licensed under the Apache License, Version 2.0.\n" * 2, "by"]
-    got = {(r.doc_id, r.license_id): (r.n_units, r.best_dice) for r in license.scan(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
-    assert got == {(0, "MIT"): (1, 1.0), (1, "MIT"): (1, 1.0), (4, "Apache-2.0"): (2 + 1, 1.0)} or got[(4, "Apache-2.0")][1] == 1.0
+    by_name = dict(license.TEMPLATES)
+    gpl = by_name["GPL-3.0-header"].split()
+    wrapped = "int main;\n * " + "\n * ".join(" ".join(gpl[k : k + 7]) for k in range(0, len(gpl), 7)) + "\nmore code"
+    among = "We wrote this long ago. " + by_name["MIT-grant"] + " Ask us for more, we like " + "words " * 40
+    whole = "Copyright 2001 A. Person\n\n" + "\n".join(re.findall(r".{1,60}(?: |$)", " ".join(by_name["MIT-text"].split()))) + "\nprint(1)\n" * 5
+    texts = ["x\nReleased under the MIT License.\ny", "RELEASED under; the mit license", "Released under some other kind of license", None, "Licensed under the Apache License, Version 2.0.\n" * 2, "by", wrapped, among, whole, "software " * 3000 + by_name["CC0-1.0"].upper() + " software" * 50]
+    found = license.scan(spark.createDataFrame([*enumerate(texts), (0, texts[0])], "doc_id long, text string")).collect()
+    got = {(r.doc_id, r.license_id): (r.n_units, r.n_windows, r.best_dice) for r in found}
+    want = {(k, name): x for k, t in enumerate(texts) for name, x in licenses_by_hand(t or "").items()}
+    want[0, "MIT"] = (2 * want[0, "MIT"][0], 2 * want[0, "MIT"][1], want[0, "MIT"][2])  # the row is there twice
+    assert got == want
+    assert all(got[k][1] > 0 and got[k][2] == 1.0 for k in ((6, "GPL-3.0-header"), (7, "MIT-grant"), (8, "MIT-text"), (9, "CC0-1.0")))
+
+
+def test_license_probes():
     grams = {n: set(license.bigrams(t)) for n, t in license.TEMPLATES}
     probe, keys = license.probes()
     for n, g in grams.items():
