@@ -25,6 +25,7 @@ class HopsetParams:
     local_edge_cap: int = 5_000_000
     scope: str = "cluster"
     clique_scope: str = "all"
+    in_task: bool = True  # graphs that fit one task are searched there, with the same rows
 
     def __post_init__(self) -> None:
         if not 0 < self.eps <= 1:

@@ -17,7 +17,7 @@ EDGE_SCHEMA = "u long, v long, w long"
 DIST_SCHEMA = "src long, v long, d long, hops int"
 MEMBER_SCHEMA = "scale int, rep int, center long, v long, dhat long, dtree long"
 HOPSET_SCHEMA = "u long, v long, w long, scale int, kind string, rep int, center long"
-ROWS_PER_PARTITION = 200_000
+ROWS_PER_PARTITION, MOST_PER_PARTITION = 200_000, 2_000_000
 
 
 @dataclass
@@ -26,7 +26,8 @@ class Graph:
 
     nodes: DataFrame
     edges: DataFrame
-    _held: list = field(default_factory=list, repr=False)
+    in_task: bool = False
+    _held: dict = field(default_factory=dict, repr=False)
 
     @property
     def spark(self):
@@ -42,21 +43,34 @@ class Graph:
 
     @cached_property
     def partitions(self) -> int:
-        """As many as the arcs fill, at most what the session asks for."""
-        return max(1, min(int(self.spark.conf.get("spark.sql.shuffle.partitions")), ceil(2 * self.m / ROWS_PER_PARTITION)))
+        """As many as the arcs fill."""
+        return self.partitions_for(0)
 
-    @cached_property
+    def partitions_for(self, rows: int) -> int:
+        """As many as arcs and a state of ``rows`` rows fill: at most what the session asks for, but more where that many
+        would hold more than MOST_PER_PARTITION rows each."""
+        rows = max(rows, 2 * self.m)
+        asked = int(self.spark.conf.get("spark.sql.shuffle.partitions"))
+        return max(1, min(asked, ceil(rows / ROWS_PER_PARTITION)), ceil(rows / MOST_PER_PARTITION))
+
+    @property
     def arcs(self) -> DataFrame:
+        return self.arcs_in(self.partitions)
+
+    def arcs_in(self, partitions: int) -> DataFrame:
         """Both directions, hash-partitioned by ``u`` and kept, so that no later round moves them again."""
-        both = self.edges.select("u", "v", "w").unionByName(self.edges.select(F.col("v").alias("u"), F.col("u").alias("v"), "w"))
-        kept = both.repartition(self.partitions, "u").persist(StorageLevel.MEMORY_AND_DISK)
-        self._held.append(kept)
-        return kept
+        if partitions not in self._held:
+            both = self.edges.select("u", "v", "w").unionByName(self.edges.select(F.col("v").alias("u"), F.col("u").alias("v"), "w"))
+            self._held[partitions] = both.repartition(partitions, "u").persist(StorageLevel.MEMORY_AND_DISK)
+        return self._held[partitions]
+
+    def compact(self) -> Graph:
+        """The same graph, searched in one task wherever arcs and state fit one."""
+        return Graph(self.nodes, self.edges, True)
 
     def release(self) -> None:
         while self._held:
-            self._held.pop().unpersist()
-        self.__dict__.pop("arcs", None)
+            self._held.popitem()[1].unpersist()
 
 
 def validate(edges: DataFrame) -> None:
@@ -85,7 +99,7 @@ def normalize_weights(graph: Graph) -> tuple[Graph, int]:
 
 
 def unweighted(graph: Graph) -> Graph:
-    return Graph(graph.nodes, graph.edges.withColumn("w", F.lit(1).cast("long")))
+    return Graph(graph.nodes, graph.edges.withColumn("w", F.lit(1).cast("long")), graph.in_task)
 
 
 def aspect_ratio(graph: Graph) -> DataFrame:
@@ -127,7 +141,7 @@ def components(graph: Graph) -> DataFrame:
 def augment(graph: Graph, hopset: DataFrame) -> Graph:
     """The graph with the shortcut edges added; the least weight of a pair wins."""
     both = graph.edges.select("u", "v", "w").unionByName(hopset.select("u", "v", "w")).groupBy("u", "v").agg(F.min("w").alias("w"))
-    return Graph(graph.nodes, cut(both, "union"))
+    return Graph(graph.nodes, cut(both, "union"), graph.in_task)
 
 
 def induced(graph: Graph, members: DataFrame) -> DataFrame:

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from hopline.functions.params import HopsetParams, check_rho, levels
 from hopline.functions.rand import chosen, u32
 from hopline.model import Graph, induced
+from hopline.plans import one_task
 from hopline.plans.relax import exact, hop_limited, search
 from hopline.plans.rounds import Ledger
 from hopline.session import cut
@@ -40,7 +41,11 @@ def _edges(rows: DataFrame) -> DataFrame:
 def _below_cap(graph: Graph, nodes: DataFrame, cap: DataFrame, hops: int | None) -> DataFrame:
     """(src, cap, v, d, hops): nodes nearer to src than its cap, which the search carries as a key."""
     start = nodes.select(F.col("id").alias("src"), F.col("id").alias("v")).join(cap.select(F.col("v").alias("src"), "cap"), "src", "left").withColumn("cap", F.coalesce("cap", F.lit(2**40)))
-    return search(graph.arcs, start, ["src", "cap"], hops, graph.partitions, radius=F.col("cap") - 1, phase="bunch", nodes=graph.n)
+    rows = nodes.count() * graph.n
+    if graph.in_task and one_task.fits(2 * graph.m, rows):
+        return search(graph.arcs, start, ["src", "cap"], hops, 1, radius=F.col("cap") - 1, phase="bunch", nodes=graph.n, in_task=True)
+    p = graph.partitions_for(rows)
+    return search(graph.arcs_in(p), start, ["src", "cap"], hops, p, radius=F.col("cap") - 1, phase="bunch", nodes=graph.n)
 
 
 def hierarchy_global(graph: Graph, k: float, eps: float = 1.0, rho: float = 0.5, seed: int = 42, hops: int | None = None) -> DataFrame:

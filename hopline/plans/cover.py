@@ -4,12 +4,13 @@ from __future__ import annotations
 
 from fractions import Fraction
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from hopline.functions.params import default_reps
 from hopline.functions.rand import FRACTION, shifts
 from hopline.model import Graph
+from hopline.plans import one_task
 from hopline.plans.rounds import Ledger, loop
 
 
@@ -39,22 +40,27 @@ def partition(graph: Graph, alpha: float, seed: int, reps: int, rounded: DataFra
     """
     edges = rounded if rounded is not None else graph.edges.withColumn("what", F.col("w"))
     both = edges.select("u", "v", "w", "what").unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v"), "w", "what"))
-    p = graph.partitions
-    arcs = both.select(F.col("u").alias("from"), F.col("v").alias("to"), "w", "what").repartition(p, "from").persist()
+    arcs = both.select(F.col("u").alias("from"), F.col("v").alias("to"), "w", "what")
+    radii = shifts(graph.nodes, alpha, seed, reps).select(F.col("rep").cast("long").alias("rep"), F.col("id").alias("v"), (-F.col("shift_fp")).alias("key"))
+    if graph.in_task and one_task.fits(2 * graph.m, reps * graph.n):
+        return one_task.partition(arcs, radii, FRACTION, "partition", ledger).withColumn("rep", F.col("rep").cast("int"))
+    p = graph.partitions_for(reps * graph.n)
+    arcs = arcs.repartition(p, "from").persist()
     zero = F.lit(0).cast("long")
-    best = F.struct((-F.col("shift_fp")).alias("key"), F.col("id").alias("center"), zero.alias("dhat"), zero.alias("dtree"))
-    start = shifts(graph.nodes, alpha, seed, reps).select("rep", F.col("id").alias("v"), best.alias("best"), F.lit(True).alias("fresh")).repartition(p, "v")
+    best = F.struct("key", F.col("v").alias("center"), zero.alias("dhat"), zero.alias("dtree"))
+    start = radii.select("rep", "v", best.alias("best"), F.lit(True).alias("fresh")).repartition(p, "v")
 
-    def step(state: DataFrame) -> DataFrame:
+    def step(state: DataFrame, sent: Observation) -> DataFrame:
         front = state.where("fresh").select("rep", F.col("v").alias("from"), "best").join(arcs, "from")
         offer = F.struct((F.col("best.key") + F.shiftleft("what", FRACTION)).alias("key"), F.col("best.center").alias("center"), (F.col("best.dhat") + F.col("what")).alias("dhat"), (F.col("best.dtree") + F.col("w")).alias("dtree"))
-        sent = front.select("rep", F.col("to").alias("v"), offer.alias("best"), F.lit(None).cast(state.schema["best"].dataType).alias("old")).where("best.key <= 0")
-        merged = state.select("rep", "v", "best", F.col("best").alias("old")).unionByName(sent).repartition(p, "v").groupBy("rep", "v").agg(F.min("best").alias("best"), F.min("old").alias("old"))
+        offers = front.select("rep", F.col("to").alias("v"), offer.alias("best"), F.lit(None).cast(state.schema["best"].dataType).alias("old")).where("best.key <= 0")
+        offers = offers.observe(sent, F.count("*").alias("offers")).repartition(p, "v")  # the state stays where it is
+        merged = state.select("rep", "v", "best", F.col("best").alias("old")).unionByName(offers).groupBy("rep", "v").agg(F.min("best").alias("best"), F.min("old").alias("old"))
         return merged.select("rep", "v", "best", (F.col("best") < F.col("old")).alias("fresh"))
 
     state = loop(start, step, None, "partition", ledger)
     arcs.unpersist()
-    return state.select("rep", "v", "best.center", "best.dhat", "best.dtree")
+    return state.select(F.col("rep").cast("int").alias("rep"), "v", "best.center", "best.dhat", "best.dtree")
 
 
 def limited_pairwise(graph: Graph, width: float, ell: int, eps0: float = 1.0, reps: int | None = None, seed: int = 42, rate: float | None = None, scale: int = 0, batch: int | None = None, ledger: Ledger | None = None) -> DataFrame:

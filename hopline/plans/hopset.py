@@ -14,8 +14,9 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from hopline.functions.params import Budget, HopsetParams, bounds, cover_width
+from hopline.functions.params import Budget, HopsetParams, bounds, cover_width, inner_eps
 from hopline.model import HOPSET_SCHEMA, Graph, augment, components, induced
+from hopline.plans import one_task
 from hopline.plans.cover import clusters, limited_pairwise
 from hopline.plans.local_hopset import at_centers, by_keys
 from hopline.plans.relax import hop_limited, search
@@ -64,13 +65,19 @@ def stars(graph: Graph, members: DataFrame, big: DataFrame, hops: int | None, sc
     inside = cut(members.join(big.select("rep", "center"), ["rep", "center"]).select("rep", "center", "v", "dtree"), "inside")
     keys = ["rep", "center"]
     start = big.select(*keys, F.col("center").alias("v"))
+    arcs, rows = None, graph.in_task and inside.count()
     if scope == "cluster":
-        own = induced(graph, inside)
-        arcs = own.select(*keys, "u", "v", "w").unionByName(own.select(*keys, F.col("v").alias("u"), F.col("u").alias("v"), "w")).repartition(graph.partitions, "u").persist()
-        dist = search(arcs, start, keys, hops, graph.partitions, arc_keys=tuple(keys), phase="stars", ledger=ledger, nodes=graph.n)
+        own = cut(induced(graph, inside), "own")
+        both = own.select(*keys, "u", "v", "w").unionByName(own.select(*keys, F.col("v").alias("u"), F.col("u").alias("v"), "w"))
+        if graph.in_task and one_task.fits(2 * own.count(), rows):
+            dist = search(both, start, keys, hops, 1, arc_keys=tuple(keys), phase="stars", ledger=ledger, nodes=graph.n, in_task=True)
+        else:
+            p = graph.partitions_for(own.count())
+            arcs = both.repartition(p, "u").persist()
+            dist = search(arcs, start, keys, hops, p, arc_keys=tuple(keys), phase="stars", ledger=ledger, nodes=graph.n)
     else:
-        arcs = None
-        dist = search(graph.arcs, start, keys, hops, graph.partitions, phase="stars", ledger=ledger, nodes=graph.n)
+        p = graph.partitions_for(big.count() * graph.n)
+        dist = search(graph.arcs_in(p), start, keys, hops, p, phase="stars", ledger=ledger, nodes=graph.n)
     row = inside.where("v <> center").join(dist.select(*keys, "v", "d"), [*keys, "v"], "left")
     out = cut(row.select(*keys, F.least("center", "v").alias("u"), F.greatest("center", "v").alias("v"), F.coalesce(F.least("d", "dtree"), "dtree").alias("w")), "stars")
     if arcs is not None:
@@ -111,6 +118,7 @@ def build(graph: Graph, params: HopsetParams, ledger: Ledger | None = None, max_
     """The hopset of all scales. ``params.segments``, ``beta``, ``ell``, ``reps`` and ``rate`` override constants of
     the theory, whose guarantee then has to be measured."""
     ledger = ledger or Ledger()
+    given, graph = graph, graph.compact() if params.in_task else graph
     n, spark = graph.n, graph.spark
     beta = default_beta(n, params)
     hops = 2 * beta + 1
@@ -127,8 +135,8 @@ def build(graph: Graph, params: HopsetParams, ledger: Ledger | None = None, max_
             farthest, all_reached = reach(union, hops, ledger)
         if all_reached and big_r >= 2 * farthest:
             break
-        if big_r > 4 * max(1, n) * (2**40):
-            break
+        if big_r > 2**62:
+            raise OverflowError(f"scale {kappa} reached, but not all nodes within {hops} hops")
         width = cover_width(params, n, big_r)
         members = cut(limited_pairwise(union, width, params.ell or hops, params.eps0, params.reps, params.seed, params.rate, kappa, ledger=ledger), "members")
         sized = cut(split_clusters(members, n, params.mu), "clusters")
@@ -144,7 +152,7 @@ def build(graph: Graph, params: HopsetParams, ledger: Ledger | None = None, max_
         if not big.isEmpty():
             star = stars(union, members, big, hops, params.scope, ledger)
             rows = rows.unionByName(star.select("u", "v", "w", F.lit("star").alias("kind"), "rep", "center"))
-            pair = center_clique(union, big, hops, 4 * big_r, params.weights, max(params.eps / max(1.0, math.log2(n)), 0.05), params.clique_scope, ledger)
+            pair = center_clique(union, big, hops, 4 * big_r, params.weights, inner_eps(params.eps, n), params.clique_scope, ledger)
             rows = rows.unionByName(pair.select("u", "v", "w", F.lit("clique").alias("kind"), F.lit(-1).alias("rep"), F.col("u").alias("center")))
         best = rows.groupBy("u", "v").agg(F.min(F.struct("w", "kind", "rep", "center")).alias("best"))
         part = cut(best.select("u", "v", "best.w", F.lit(kappa).alias("scale"), "best.kind", "best.rep", "best.center"), f"scale{kappa}")
@@ -152,11 +160,12 @@ def build(graph: Graph, params: HopsetParams, ledger: Ledger | None = None, max_
         union.release()
         kappa += 1
     ledger.scale = -1
-    return HopsetResult(made if made is not None else spark.createDataFrame([], HOPSET_SCHEMA), params, beta, graph, ledger, kept_clusters)
+    return HopsetResult(made if made is not None else spark.createDataFrame([], HOPSET_SCHEMA), params, beta, given, ledger, kept_clusters)
 
 
 def build_sequential(graph: Graph, params: HopsetParams) -> HopsetResult:
     """The sequential form: no hop limits, exact distances, unlimited covers of radius rate 1/W; for small graphs."""
+    given, graph = graph, graph.compact() if params.in_task else graph
     ledger, n = Ledger(), graph.n
     beta = default_beta(n, params)
     graph.roots = cut(components(graph).select(F.col("comp").alias("src")).distinct(), "roots")
@@ -178,4 +187,4 @@ def build_sequential(graph: Graph, params: HopsetParams) -> HopsetResult:
         best = rows.groupBy("u", "v").agg(F.min(F.struct("w", "kind", "rep", "center")).alias("best"))
         part = cut(best.select("u", "v", "best.w", F.lit(kappa).alias("scale"), "best.kind", "best.rep", "best.center"), f"scale{kappa}")
         made = part if made is None else made.unionByName(part)
-    return HopsetResult(made, params, beta, graph, ledger)
+    return HopsetResult(made, params, beta, given, ledger)

@@ -1,22 +1,28 @@
 """Distances by synchronous relaxation: from many sources at once, hop-limited, radius-limited, keyed by cluster.
 
 A round joins the rows that improved in the round before with the arcs that leave their node and keeps the least
-offer for each (key, node). Distance and hop count share one BIGINT (``d * 2^bits + hops``), so the minimum is a
-hash aggregate, the least distance wins and the fewest hops break ties. After i rounds the state is exactly d^i.
+offer for each (key, node). State and arcs lie in the same partitions by node and stay there; only offers are
+exchanged. Distance and hop count share one BIGINT (``d * 2^bits + hops``), so the minimum is a hash aggregate, the
+least distance wins and the fewest hops break ties. After i rounds the state is exactly d^i.
 
 Best paths are simple, so the hop limit or the number of nodes, whichever is less, gives the bits; where neither is
 known there are HOP_BITS, and a search with more rounds fails. A distance that doesn't fit beside them fails as well.
+
+Hubs. Nodes with more than ``HUB`` arcs have their arcs cut into slices by the other end, which lie in partitions of
+their own; a hub's improved rows are copied to its slices. Offers to a hub are reduced slice by slice before they meet.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from hopline.model import Graph
+from hopline.plans import one_task
 from hopline.plans.rounds import Ledger, loop
 
 HOP_BITS = 20
+HUB, SLICES = 200_000, 64
 
 
 def hop_bits(hops: int | None, nodes: int | None) -> int:
@@ -35,21 +41,67 @@ def _unpacked(state: DataFrame, keys: list[str], bits: int) -> DataFrame:
     return state.select(*keys, "v", F.shiftright("p", bits).alias("d"), (F.col("p").bitwiseAND((1 << bits) - 1)).cast("int").alias("hops"))
 
 
-def search(arcs: DataFrame, seeds: DataFrame, keys: list[str], hops: int | None, partitions: int, radius: int | Column | None = None, arc_keys: tuple = (), delta: bool = True, phase: str = "search", ledger: Ledger | None = None, prune: DataFrame | None = None, nodes: int | None = None) -> DataFrame:
+class Arcs:
+    """Arcs (keys, u, v, w) of a search in three parts, which are one where no node is a hub."""
+
+    def __init__(self, arcs: DataFrame, hubs: DataFrame | None = None, partitions: int = 1):
+        self.plain, self.hubs, self.leaving, self.entering = arcs, None, None, None
+        if hubs is not None:
+            self.hubs = F.broadcast(hubs)
+            out = arcs.join(self.hubs.withColumnRenamed("hub", "u"), "u", "left")
+            cold = out.where("slices is null").drop("slices")
+            into = cold.join(self.hubs.select(F.col("hub").alias("v"), F.lit(True).alias("into")), "v", "left")
+            self.plain = into.where("into is null").select(arcs.columns).repartition(partitions, "u").persist()
+            self.entering = into.where("into").select(arcs.columns).repartition(partitions, "u").persist()
+            leaving = out.where("slices is not null").withColumn("slice", F.pmod(F.xxhash64("v"), "slices").cast("int"))
+            self.leaving = leaving.drop("slices").repartition(partitions, "u", "slice").persist()
+
+    def release(self) -> None:
+        for part in (self.plain, self.leaving, self.entering) if self.hubs is not None else ():
+            part.unpersist()
+
+    def offers(self, front: DataFrame, keys: list[str], arc_keys: list[str], longer) -> DataFrame:
+        """keys, v, p: what the rows ``front`` (keys, v, p) send along the arcs."""
+        row = front.withColumnRenamed("v", "u")
+
+        def sent(left: DataFrame, arcs: DataFrame, on: list[str]) -> DataFrame:
+            return left.join(arcs.withColumnRenamed("v", "to"), on).select(*keys, F.col("u").alias("from"), F.col("to").alias("v"), longer(F.col("p"), F.col("w")).alias("p"))
+
+        if self.hubs is None:
+            return sent(row, self.plain, [*arc_keys, "u"]).drop("from")
+        copies = row.join(self.hubs.withColumnRenamed("hub", "u"), "u").withColumn("slice", F.explode(F.sequence(F.lit(0), F.col("slices") - 1))).drop("slices")
+        met = sent(row, self.entering, [*arc_keys, "u"]).groupBy(*keys, "v", F.pmod(F.xxhash64("from"), F.lit(SLICES)).alias("slice")).agg(F.min("p").alias("p"))
+        return sent(row, self.plain, [*arc_keys, "u"]).drop("from").unionByName(sent(copies, self.leaving, [*arc_keys, "u", "slice"]).drop("from")).unionByName(met.drop("slice"))
+
+
+def hubs_of(graph: Graph) -> DataFrame | None:
+    """(hub, slices): nodes with more than HUB arcs, at most 2 m / HUB of them; None if there is none."""
+    degree = graph.arcs.groupBy(F.col("u").alias("hub")).agg(F.count("*").alias("k")).where(F.col("k") > HUB)
+    found = degree.select("hub", F.ceil(F.col("k") / HUB).cast("int").alias("slices"))
+    return None if graph.m <= HUB or found.isEmpty() else found
+
+
+def search(arcs: DataFrame | Arcs, seeds: DataFrame, keys: list[str], hops: int | None, partitions: int, radius: int | Column | None = None, arc_keys: tuple = (), delta: bool = True, phase: str = "search", ledger: Ledger | None = None, prune: DataFrame | None = None, nodes: int | None = None, in_task: bool = False) -> DataFrame:
     """``seeds``: keys and v at distance 0. ``arcs``: (u, v, w), with those of the keys that ``arc_keys`` names. ``prune``: (v,
-    cap): offers to v must lie below the cap. ``nodes``: how many nodes the arcs join. Returns keys, v, d, hops."""
+    cap): offers to v must lie below the cap. ``nodes``: how many nodes the arcs join. ``in_task``: the caller has checked
+    that arcs and state fit one task. Returns keys, v, d, hops."""
     bits = hop_bits(hops, nodes)
+    if in_task and delta and hops != 0:
+        caps = arcs.join(prune.select("v", F.col("cap").alias("_cap")), "v", "left") if prune is not None else arcs.withColumn("_cap", F.lit(None).cast("long"))
+        limit = radius if isinstance(radius, Column) else F.lit(radius)
+        return one_task.search(caps, seeds.select(*keys, "v", limit.cast("long").alias("_radius")), keys, list(arc_keys), hops, bits, phase, ledger)
     start = seeds.select(*keys, "v", F.lit(0).cast("long").alias("p"), F.lit(True).alias("fresh")).repartition(partitions, "v")
-    out = arcs.select(*arc_keys, F.col("u").alias("from"), F.col("v").alias("to"), "w")
+    out = arcs if isinstance(arcs, Arcs) else Arcs(arcs)
 
-    def step(state: DataFrame) -> DataFrame:
-        front = state.where("fresh") if delta else state
-        offers = front.withColumnRenamed("v", "from").join(out, [*arc_keys, "from"]).select(*keys, F.col("to").alias("v"), _longer(F.col("p"), F.col("w"), bits).alias("p"), F.lit(None).cast("long").alias("old"))
+    def step(state: DataFrame, sent: Observation) -> DataFrame:
+        front = (state.where("fresh") if delta else state).select(*keys, "v", "p")
+        offers = out.offers(front, keys, list(arc_keys), lambda p, w: _longer(p, w, bits))
         if radius is not None:
             offers = offers.where(F.shiftright("p", bits) <= radius)
         if prune is not None:
-            offers = offers.join(prune, "v", "left").where(F.col("cap").isNull() | (F.shiftright("p", bits) < F.col("cap"))).select(*keys, "v", "p", "old")
-        both = state.select(*keys, "v", "p", F.col("p").alias("old")).unionByName(offers).repartition(partitions, "v")
+            offers = offers.join(prune, "v", "left").where(F.col("cap").isNull() | (F.shiftright("p", bits) < F.col("cap"))).select(*keys, "v", "p")
+        offers = offers.observe(sent, F.count("*").alias("offers")).repartition(partitions, "v")
+        both = state.select(*keys, "v", "p", F.col("p").alias("old")).unionByName(offers.withColumn("old", F.lit(None).cast("long")))
         merged = both.groupBy(*keys, "v").agg(F.min("p").alias("p"), F.min("old").alias("old"))
         return merged.select(*keys, "v", "p", (F.col("old").isNull() | (F.col("p") < F.col("old"))).alias("fresh"))
 
@@ -62,7 +114,14 @@ def seeds(sources: DataFrame) -> DataFrame:
 
 def hop_limited(graph: Graph, sources: DataFrame, hops: int | None, delta: bool = True, radius: int | None = None, ledger: Ledger | None = None, phase: str = "search") -> DataFrame:
     """(src, v, d, hops): least length over paths of at most ``hops`` edges; all sources in the same rounds."""
-    return search(graph.arcs, seeds(sources), ["src"], hops, graph.partitions, radius, delta=delta, phase=phase, ledger=ledger, nodes=graph.n)
+    rows = sources.count() * graph.n
+    if graph.in_task and one_task.fits(2 * graph.m, rows):
+        return search(graph.arcs, seeds(sources), ["src"], hops, 1, radius, phase=phase, ledger=ledger, nodes=graph.n, in_task=True)
+    p = graph.partitions_for(rows)
+    arcs = Arcs(graph.arcs_in(p), hubs_of(graph), p)
+    out = search(arcs, seeds(sources), ["src"], hops, p, radius, delta=delta, phase=phase, ledger=ledger, nodes=graph.n)
+    arcs.release()
+    return out
 
 
 def exact(graph: Graph, sources: DataFrame, ledger: Ledger | None = None) -> DataFrame:

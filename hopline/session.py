@@ -33,13 +33,15 @@ def shared_dir(spark: SparkSession) -> str:
     """Folder that the driver and all executors see.
 
     The session's ``spark.checkpoint.dir`` comes first, then a checkpoint folder that was set by hand. Only a
-    local master falls back to a temporary folder; a cluster falls back to the warehouse.
+    local master falls back to a temporary folder; on a cluster, whose machines share no such folder, this fails.
     """
     context = spark.sparkContext
     root = context.getConf().get("spark.checkpoint.dir", None) or context.getCheckpointDir()
     if not root:
         local = context.master.startswith("local") and not context.master.startswith("local-cluster")
-        root = tempfile.mkdtemp(prefix="hopline-") if local else f"{spark.conf.get('spark.sql.warehouse.dir')}/hopline_scratch"
+        if not local:
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        root = tempfile.mkdtemp(prefix="hopline-")
         context.setCheckpointDir(root)
     return root
 
@@ -63,6 +65,15 @@ def discard(df: DataFrame) -> None:
         folder.getFileSystem(spark._jsc.hadoopConfiguration()).delete(folder, True)
 
 
+def drop_checkpoint(df: DataFrame) -> None:
+    """Delete the files of a frame made by ``checkpoint()`` once a later checkpoint has taken its place."""
+    spark = df.sparkSession
+    file = df._jdf.queryExecution().analyzed().rdd().getCheckpointFile()
+    if file.isDefined():
+        path = spark._jvm.org.apache.hadoop.fs.Path(file.get())
+        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def small_enough(df: DataFrame, max_rows: int) -> bool:
     """Whether ``df`` has at most ``max_rows`` rows; counts no more than one row beyond that and moves no columns."""
     return df.select().limit(max_rows + 1).count() <= max_rows
@@ -82,4 +93,4 @@ def setting(spark: SparkSession, **conf: str):
             spark.conf.unset(k) if v is None else spark.conf.set(k, v)
 
 
-__all__ = ["cut", "discard", "local_session", "scratch_path", "setting", "shared_dir", "small_enough"]
+__all__ = ["cut", "discard", "drop_checkpoint", "local_session", "scratch_path", "setting", "shared_dir", "small_enough"]
