@@ -66,7 +66,9 @@ class Graph:
 
     def compact(self) -> Graph:
         """The same graph, searched in one task wherever arcs and state fit one."""
-        return Graph(self.nodes, self.edges, True)
+        out = Graph(self.nodes, self.edges, True)
+        out.__dict__ |= {k: self.__dict__[k] for k in ("n", "m") if k in self.__dict__}
+        return out
 
     def release(self) -> None:
         while self._held:
@@ -141,7 +143,9 @@ def components(graph: Graph) -> DataFrame:
 def augment(graph: Graph, hopset: DataFrame) -> Graph:
     """The graph with the shortcut edges added; the least weight of a pair wins."""
     both = graph.edges.select("u", "v", "w").unionByName(hopset.select("u", "v", "w")).groupBy("u", "v").agg(F.min("w").alias("w"))
-    return Graph(graph.nodes, cut(both, "union"), graph.in_task)
+    out = Graph(graph.nodes, cut(both, "union"), graph.in_task)
+    out.__dict__["n"] = graph.n  # the nodes are the same
+    return out
 
 
 def induced(graph: Graph, members: DataFrame) -> DataFrame:

@@ -8,8 +8,10 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from hopline.functions.udfs import cosine_udf, mean_udf, register, scales_udtf
+from hopline.oracles_graph import edges
 from hopline.session import scratch_path
-from hopline.sources.tables import load, read, write
+from hopline.sources.graphs import graph
+from hopline.sources.tables import load, load_bucketed, read, register as register_tables, save_bucketed, write
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
@@ -68,22 +70,22 @@ def _(s, d):
 
 
 def _keys(s, d):
-    return load(s, d, "customer").select(F.col("c_nationkey").alias("k")), load(s, d, "supplier").where("s_suppkey % 3 = 0").select(F.col("s_nationkey").alias("k"))
+    return load(s, d, "customer").select(F.col("c_nationkey").alias("k")), load(s, d, "supplier").select(F.col("s_nationkey").alias("k"))
 
 
-@op("union_all", "SELECT k, count(*) AS n FROM (SELECT c_nationkey AS k FROM customer UNION ALL SELECT s_nationkey FROM supplier WHERE s_suppkey % 3 = 0) GROUP BY k")
+@op("union_all", "SELECT k, count(*) AS n FROM (SELECT c_nationkey AS k FROM customer UNION ALL SELECT s_nationkey FROM supplier) GROUP BY k")
 def _(s, d):
     a, b = _keys(s, d)
     return a.unionByName(b).groupBy("k").agg(F.count("*").alias("n"))
 
 
-@op("intersect", "SELECT c_nationkey AS k FROM customer INTERSECT SELECT s_nationkey FROM supplier WHERE s_suppkey % 3 = 0")
+@op("intersect", "SELECT c_nationkey AS k FROM customer INTERSECT SELECT s_nationkey FROM supplier")
 def _(s, d):
     a, b = _keys(s, d)
     return a.intersect(b)
 
 
-@op("except", "SELECT c_nationkey AS k FROM customer EXCEPT SELECT s_nationkey FROM supplier WHERE s_suppkey % 3 = 0")
+@op("except", "SELECT c_nationkey AS k FROM customer EXCEPT SELECT s_nationkey FROM supplier")
 def _(s, d):
     a, b = _keys(s, d)
     return a.subtract(b)
@@ -110,9 +112,32 @@ def _(s, d):
     return load(s, d, "nation").join(load(s, d, "supplier").where("s_acctbal > 5000"), F.col("n_nationkey") == F.col("s_nationkey"), "left").select("n_nationkey", "s_suppkey")
 
 
-@op("join_full", "SELECT n_nationkey, s_suppkey FROM (SELECT * FROM nation WHERE n_nationkey % 2 = 0) FULL JOIN supplier ON n_nationkey = s_nationkey")
+@op("intersect_all", "SELECT c_nationkey AS k FROM customer INTERSECT ALL SELECT s_nationkey FROM supplier")
 def _(s, d):
-    return load(s, d, "nation").where("n_nationkey % 2 = 0").join(load(s, d, "supplier"), F.col("n_nationkey") == F.col("s_nationkey"), "full").select("n_nationkey", "s_suppkey")
+    a, b = _keys(s, d)
+    return a.intersectAll(b)
+
+
+@op("except_all", "SELECT c_nationkey AS k FROM customer EXCEPT ALL SELECT s_nationkey FROM supplier")
+def _(s, d):
+    a, b = _keys(s, d)
+    return a.exceptAll(b)
+
+
+@op("join_full", "SELECT n_nationkey, s_suppkey FROM nation FULL JOIN (SELECT * FROM supplier WHERE s_acctbal > 5000) ON n_nationkey = s_nationkey")
+def _(s, d):
+    return load(s, d, "nation").join(load(s, d, "supplier").where("s_acctbal > 5000"), F.col("n_nationkey") == F.col("s_nationkey"), "full").select("n_nationkey", "s_suppkey")
+
+
+@op("join_right", "SELECT s_suppkey, n_nationkey FROM (SELECT * FROM supplier WHERE s_acctbal > 5000) RIGHT JOIN nation ON n_nationkey = s_nationkey")
+def _(s, d):
+    return load(s, d, "supplier").where("s_acctbal > 5000").join(load(s, d, "nation"), F.col("n_nationkey") == F.col("s_nationkey"), "right").select("s_suppkey", "n_nationkey")
+
+
+@op("join_cross", "SELECT n_nationkey, r_regionkey FROM nation, region")
+def _(s, d):
+    """Two tables of fixed size; nothing that grows is ever multiplied."""
+    return load(s, d, "nation").crossJoin(F.broadcast(load(s, d, "region"))).select("n_nationkey", "r_regionkey")
 
 
 @op("join_semi", "SELECT c_custkey FROM customer WHERE EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey AND o_totalprice > 200000)")
@@ -125,11 +150,12 @@ def _(s, d):
     return load(s, d, "customer").join(load(s, d, "orders"), F.col("o_custkey") == F.col("c_custkey"), "left_anti").select("c_custkey")
 
 
-@op("join_theta", "SELECT a.n_nationkey AS a, b.n_nationkey AS b FROM nation a JOIN nation b ON a.n_regionkey = b.n_regionkey AND a.n_nationkey < b.n_nationkey")
+@op("join_theta", "SELECT a.n_nationkey AS a, b.n_nationkey AS b FROM nation a JOIN nation b ON a.n_name < b.n_name AND a.n_regionkey <> b.n_regionkey")
 def _(s, d):
+    """No equal column at all; the smaller side is of fixed size and goes to every task."""
     n = load(s, d, "nation")
-    a, b = n.select(F.col("n_nationkey").alias("a"), "n_regionkey"), n.select(F.col("n_nationkey").alias("b"), "n_regionkey")
-    return a.join(b, "n_regionkey").where("a < b").select("a", "b")
+    a, b = (n.select(F.col("n_nationkey").alias(x), F.col("n_name").alias(f"name_{x}"), F.col("n_regionkey").alias(f"region_{x}")) for x in "ab")
+    return a.join(F.broadcast(b), (F.col("name_a") < F.col("name_b")) & (F.col("region_a") != F.col("region_b"))).select("a", "b")
 
 
 @op("join_range", "SELECT o_orderkey, floor(log2(o_totalprice))::INTEGER AS scale FROM orders WHERE o_totalprice > 1024 AND o_totalprice <= 1048576")
@@ -156,11 +182,12 @@ def _(s, d):
     return e.select("event_id", F.last("event_id", ignorenulls=True).over(w).alias("previous"))
 
 
-@op("join_self_triangles", "WITH e AS (SELECT DISTINCT o_custkey AS u, o_custkey % 37 + 1000000 AS v FROM orders), x AS (SELECT u, v FROM e) SELECT a.v, count(*) AS paths FROM x a JOIN x b ON a.v = b.v AND a.u < b.u GROUP BY a.v")
+@op("join_self_triangles", f"WITH e AS MATERIALIZED ({edges('user_handoff')}) SELECT a.u, count(*) AS triangles, min(a.w + b.w + c.w)::BIGINT AS shortest FROM e a JOIN e b ON b.u = a.v JOIN e c ON c.u = a.u AND c.v = b.v GROUP BY a.u")
 def _(s, d):
-    x = load(s, d, "orders").select(F.col("o_custkey").alias("u"), (F.col("o_custkey") % 37 + 1000000).alias("v")).distinct()
-    n = x.groupBy("v").agg(F.count("*").alias("k"))  # pairs are counted, not made
-    return n.where("k > 1").select("v", F.expr("k * (k - 1) div 2").alias("paths"))
+    """Triangles of the handoff graph by their smallest node: edges joined with themselves, then closed."""
+    e = graph(s, d, "user_handoff").edges
+    a, b, c = e.select("u", F.col("v").alias("x"), F.col("w").alias("wa")), e.select(F.col("u").alias("x"), F.col("v").alias("y"), F.col("w").alias("wb")), e.select("u", F.col("v").alias("y"), F.col("w").alias("wc"))
+    return a.join(b, "x").join(c, ["u", "y"]).groupBy("u").agg(F.count("*").alias("triangles"), F.min(F.col("wa") + F.col("wb") + F.col("wc")).alias("shortest"))
 
 
 @op("join_salted", "SELECT l_suppkey, count(*) AS n, round(sum(l_quantity), 2) AS quantity FROM lineitem JOIN supplier ON l_suppkey = s_suppkey GROUP BY l_suppkey")
@@ -352,3 +379,24 @@ def _(s, d):
     path = scratch_path(s, "pruned")
     write(load(s, d, "customer").select("c_custkey", "c_nationkey"), "parquet", path, partition_by=["c_nationkey"])
     return read(s, "parquet", path).where("c_nationkey = 7").select("c_custkey", "c_nationkey")
+
+
+@op("bucketed_join", "SELECT c_nationkey, count(*) AS n FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY c_nationkey")
+def _(s, d):
+    """Both sides written in buckets of the key, so that the join needs no exchange."""
+    save_bucketed(load(s, d, "orders").select(F.col("o_custkey").alias("c_custkey"), "o_orderkey"), "hop_orders", "c_custkey")
+    save_bucketed(load(s, d, "customer").select("c_custkey", "c_nationkey"), "hop_customers", "c_custkey")
+    return load_bucketed(s, "hop_orders").join(load_bucketed(s, "hop_customers").hint("merge"), "c_custkey").groupBy("c_nationkey").agg(F.count("*").alias("n"))
+
+
+@op("text_scan", "SELECT length(line)::INTEGER AS n, count(*) AS lines FROM (SELECT unnest(string_split(n_name || chr(10) || n_nationkey, chr(10))) AS line FROM nation) GROUP BY 1")
+def _(s, d):
+    path = scratch_path(s, "lines")
+    write(load(s, d, "nation").select(F.concat_ws("\n", "n_name", F.col("n_nationkey").cast("string")).alias("value")), "text", path)
+    return read(s, "text", path).groupBy(F.length("value").alias("n")).agg(F.count("*").alias("lines"))
+
+
+@op("catalogue_views", "SELECT r_name, count(*) AS n FROM nation JOIN region ON n_regionkey = r_regionkey GROUP BY r_name")
+def _(s, d):
+    register_tables(s, d, ["nation", "region"])
+    return s.sql("SELECT r_name, count(*) AS n FROM nation JOIN region ON n_regionkey = r_regionkey GROUP BY r_name")

@@ -38,39 +38,53 @@ def partition(graph: Graph, alpha: float, seed: int, reps: int, rounded: DataFra
     Only a node's best offer is forwarded, and an offer whose key is above 0 can't beat the node's own. All
     repetitions share the rounds, as key columns. Ties go to the smaller centre, then the shorter tree.
     """
-    edges = rounded if rounded is not None else graph.edges.withColumn("what", F.col("w"))
-    both = edges.select("u", "v", "w", "what").unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v"), "w", "what"))
-    arcs = both.select(F.col("u").alias("from"), F.col("v").alias("to"), "w", "what")
-    radii = shifts(graph.nodes, alpha, seed, reps).select(F.col("rep").cast("long").alias("rep"), F.col("id").alias("v"), (-F.col("shift_fp")).alias("key"))
-    if graph.in_task and one_task.fits(2 * graph.m, reps * graph.n):
-        return one_task.partition(arcs, radii, FRACTION, "partition", ledger).withColumn("rep", F.col("rep").cast("int"))
-    p = graph.partitions_for(reps * graph.n)
+    return partitions(graph, {0: (alpha, seed, rounded)}, reps, ledger).drop("scale")
+
+
+def partitions(graph: Graph, scales: dict[int, tuple], reps: int, ledger: Ledger | None = None) -> DataFrame:
+    """(scale, rep, v, center, dhat, dtree): the partitions of several scales, each with its rate, seed and rounded edges,
+    in the same rounds: scale and repetition are key columns."""
+    arcs = radii = None
+    for scale, (alpha, seed, rounded) in scales.items():
+        edges = rounded if rounded is not None else graph.edges.withColumn("what", F.col("w"))
+        both = edges.select("u", "v", "w", "what").unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v"), "w", "what"))
+        some = both.select(F.lit(scale).alias("scale"), F.col("u").alias("from"), F.col("v").alias("to"), "w", "what")
+        start = shifts(graph.nodes, alpha, seed, reps).select(F.lit(scale).alias("scale"), F.col("rep").cast("long").alias("rep"), F.col("id").alias("v"), (-F.col("shift_fp")).alias("key"))
+        arcs, radii = (some, start) if arcs is None else (arcs.unionByName(some), radii.unionByName(start))
+    if len(scales) == 1 and graph.in_task and one_task.fits(2 * graph.m, reps * graph.n):
+        return one_task.partition(arcs, radii, FRACTION, "partition", ledger).select(F.lit(next(iter(scales))).alias("scale"), F.col("rep").cast("int").alias("rep"), "v", "center", "dhat", "dtree")
+    p = graph.partitions_for(len(scales) * reps * graph.n)
     arcs = arcs.repartition(p, "from").persist()
-    zero = F.lit(0).cast("long")
+    zero, keys = F.lit(0).cast("long"), ["scale", "rep"]
     best = F.struct("key", F.col("v").alias("center"), zero.alias("dhat"), zero.alias("dtree"))
-    start = radii.select("rep", "v", best.alias("best"), F.lit(True).alias("fresh")).repartition(p, "v")
+    start = radii.select(*keys, "v", best.alias("best"), F.lit(True).alias("fresh")).repartition(p, "v")
 
     def step(state: DataFrame, sent: Observation) -> DataFrame:
-        front = state.where("fresh").select("rep", F.col("v").alias("from"), "best").join(arcs, "from")
+        front = state.where("fresh").select(*keys, F.col("v").alias("from"), "best").join(arcs, ["from", "scale"])
         offer = F.struct((F.col("best.key") + F.shiftleft("what", FRACTION)).alias("key"), F.col("best.center").alias("center"), (F.col("best.dhat") + F.col("what")).alias("dhat"), (F.col("best.dtree") + F.col("w")).alias("dtree"))
-        offers = front.select("rep", F.col("to").alias("v"), offer.alias("best"), F.lit(None).cast(state.schema["best"].dataType).alias("old")).where("best.key <= 0")
+        offers = front.select(*keys, F.col("to").alias("v"), offer.alias("best"), F.lit(None).cast(state.schema["best"].dataType).alias("old")).where("best.key <= 0")
         offers = offers.observe(sent, F.count("*").alias("offers")).repartition(p, "v")  # the state stays where it is
-        merged = state.select("rep", "v", "best", F.col("best").alias("old")).unionByName(offers).groupBy("rep", "v").agg(F.min("best").alias("best"), F.min("old").alias("old"))
-        return merged.select("rep", "v", "best", (F.col("best") < F.col("old")).alias("fresh"))
+        merged = state.select(*keys, "v", "best", F.col("best").alias("old")).unionByName(offers).groupBy(*keys, "v").agg(F.min("best").alias("best"), F.min("old").alias("old"))
+        return merged.select(*keys, "v", "best", (F.col("best") < F.col("old")).alias("fresh"))
 
     state = loop(start, step, None, "partition", ledger)
     arcs.unpersist()
-    return state.select(F.col("rep").cast("int").alias("rep"), "v", "best.center", "best.dhat", "best.dtree")
+    return state.select("scale", F.col("rep").cast("int").alias("rep"), "v", "best.center", "best.dhat", "best.dtree")
 
 
-def limited_pairwise(graph: Graph, width: float, ell: int, eps0: float = 1.0, reps: int | None = None, seed: int = 42, rate: float | None = None, scale: int = 0, batch: int | None = None, ledger: Ledger | None = None) -> DataFrame:
-    """Members of an ell-limited cover for lengths in [W, 2W]: weights rounded at R = W, radii of rate
-    eps0 / (2 ell) in rounded units (``rate`` replaces the factor 1/2), repeated O(log n) times.
+def rate_of(ell: int, eps0: float, rate: float | None, window: float) -> float:
+    """Rate of the radii: a path of at most ell edges and a length in [W, c W] has about c ell / eps0 rounded units."""
+    return (0.5 if rate is None else rate) * eps0 / ell * 2 / window
+
+
+def limited_pairwise(graph: Graph, width: float, ell: int, eps0: float = 1.0, reps: int | None = None, seed: int = 42, rate: float | None = None, scale: int = 0, batch: int | None = None, ledger: Ledger | None = None, window: float = 2.0) -> DataFrame:
+    """Members of an ell-limited cover for lengths in [W, c W], c = ``window``: weights rounded at R = W, radii of rate
+    eps0 / (c ell) in rounded units (``rate`` replaces the factor 1/2 of c = 2), repeated O(log n) times.
 
     ``batch`` runs so many repetitions at a time (the pipelined form); by default all share the rounds.
     """
     reps = reps or default_reps(graph.n)
-    alpha = (0.5 if rate is None else rate) * eps0 / ell
+    alpha = rate_of(ell, eps0, rate, window)
     rounded = round_weights(graph, width, ell, eps0)
     parts = [partition(graph, alpha, seed + 1000 * scale, reps, rounded, ledger)] if not batch or batch >= reps else []
     for first in range(0, reps if not parts else 0, batch or reps):
@@ -82,11 +96,14 @@ def limited_pairwise(graph: Graph, width: float, ell: int, eps0: float = 1.0, re
     return out.select(F.lit(scale).alias("scale"), F.col("rep").cast("int").alias("rep"), "center", "v", "dhat", "dtree")
 
 
-def limited_pairwise_all(graph: Graph, widths: list[int], ell: int, **settings) -> DataFrame:
-    """Covers for all lengths: one for each doubling of the width."""
+def limited_pairwise_all(graph: Graph, widths: list[int], ell: int, eps0: float = 1.0, reps: int | None = None, seed: int = 42, rate: float | None = None, window: float = 2.0, parallel_scales: bool = True, ledger: Ledger | None = None) -> DataFrame:
+    """Covers for all lengths: one for each doubling of the width, all in the same rounds or one after another."""
+    reps = reps or default_reps(graph.n)
+    scales = {k: (rate_of(ell, eps0, rate, window), seed + 1000 * k, round_weights(graph, w, ell, eps0)) for k, w in enumerate(widths)}
+    runs = [scales] if parallel_scales else [{k: v} for k, v in scales.items()]
     out = None
-    for k, w in enumerate(widths):
-        part = limited_pairwise(graph, w, ell, scale=k, **settings)
+    for some in runs:
+        part = partitions(graph, some, reps, ledger).select("scale", "rep", "center", "v", "dhat", "dtree")
         out = part if out is None else out.unionByName(part)
     return out
 

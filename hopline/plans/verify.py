@@ -6,8 +6,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from hopline.functions.params import padding_bound
-from hopline.model import Graph, augment
-from hopline.plans.relax import exact, hop_limited
+from hopline.model import Graph, augment, induced
+from hopline.operators.components import connected_labels
+from hopline.plans.relax import exact, hop_limited, search
+from hopline.session import cut
 
 
 def compare(truth: DataFrame, approx: DataFrame) -> DataFrame:
@@ -39,23 +41,24 @@ def sound(graph: Graph, hopset: DataFrame) -> DataFrame:
     return hopset.join(truth, ["u", "v"], "left").where("d_exact is null or w < d_exact")
 
 
-def effective_hopbound(graph: Graph, hopset: DataFrame | None, sources: DataFrame, eps: float, truth: DataFrame | None = None, most: int | None = None) -> int:
-    """Least number of hops within which all pairs from ``sources`` are at most (1 + eps) d.
+def effective_hopbound(graph: Graph, hopset: DataFrame | None, sources: DataFrame, eps: float, truth: DataFrame | None = None, most: int | None = None) -> int | None:
+    """Least number of hops within which all pairs from ``sources`` are at most (1 + eps) d; None if ``most`` hops aren't
+    enough. ``most`` defaults to the number of nodes, which no best path exceeds.
 
-    The limit doubles until no pair is too long, then halves the gap. ``most`` defaults to the number of nodes, which
-    no best path exceeds.
+    The limit doubles until no pair is too long, then the gap is halved.
     """
     truth = (truth if truth is not None else exact(graph, sources)).select("src", "v", F.col("d").alias("d_exact")).persist()
     union = augment(graph, hopset) if hopset is not None else graph
-    lo, hi, most = 0, 1, graph.n if most is None else most
+    most = graph.n if most is None else most
     good = lambda h: hop_limited(union, sources, h).join(truth, ["src", "v"], "right").where(F.col("d").isNull() | (F.col("d") > F.col("d_exact") * (1 + eps))).isEmpty()
-    while hi < most and not good(hi):
-        lo, hi = hi, hi * 2
-    while hi - lo > 1:
+    lo, hi = 0, min(1, most)
+    while not (found := good(hi)) and hi < most:
+        lo, hi = hi, min(most, hi * 2)
+    while found and hi - lo > 1:
         mid = (lo + hi) // 2
         lo, hi = (lo, mid) if good(mid) else (mid, hi)
     truth.unpersist()
-    return hi
+    return hi if found else None
 
 
 def size_by_kind(hopset: DataFrame) -> DataFrame:
@@ -102,9 +105,35 @@ def cluster_diameters(members: DataFrame, kind: str = "tree") -> DataFrame:
 
 
 def connected_members(graph: Graph, members: DataFrame) -> DataFrame:
-    """Members other than the centre without a neighbour in their own cluster (must be none)."""
-    near = graph.arcs.select("u", "v").join(members.select("rep", "center", "v"), "v").select("rep", "center", F.col("u").alias("v")).distinct()
-    return members.where("v <> center").join(near, ["rep", "center", "v"], "left_anti")
+    """(rep, center, pieces): components of the graph inside each cluster (must be one)."""
+    named = members.select("rep", "center", "v", (F.col("rep").cast("long") * F.lit(2**44) + F.col("v")).alias("cls"))
+    links = induced(graph, members).select(*[(F.col("rep").cast("long") * F.lit(2**44) + F.col(x)).alias(c) for x, c in (("u", "a"), ("v", "b"))])
+    label = connected_labels(links)
+    return named.join(label, "cls", "left").groupBy("rep", "center").agg(F.countDistinct(F.coalesce("comp", "cls")).alias("pieces"))
+
+
+def cluster_edges(graph: Graph, members: DataFrame) -> DataFrame:
+    """One row: sum of |C| and sum of |E(C)| over all clusters."""
+    return members.agg(F.count("*").alias("sizes")).join(induced(graph, members).agg(F.count("*").alias("edges")))
+
+
+def true_diameters(graph: Graph, members: DataFrame) -> DataFrame:
+    """(rep, center, strong, weak): greatest distance of two members by paths inside the cluster, and by any path."""
+    keys = ["rep", "center", "src"]
+    own = cut(induced(graph, members), "own")
+    both = own.unionByName(own.select("rep", "center", F.col("v").alias("u"), F.col("u").alias("v"), "w"))
+    start = members.select("rep", "center", F.col("v").alias("src"), "v")
+    p = graph.partitions_for(start.count())
+    arcs = both.repartition(p, "u").persist()
+    inside = search(arcs, start, keys, None, p, arc_keys=("rep", "center"), nodes=graph.n)
+    strong = inside.groupBy("rep", "center").agg(F.max("d").alias("strong"))
+    a, b = members.select("rep", "center", F.col("v").alias("src")), members.select("rep", "center", "v")
+    # Within a cluster no pair is further apart in the graph than inside, so a search up to the widest cluster sees all.
+    widest = strong.agg(F.max("strong")).first()[0] or 0
+    any_ = hop_limited(graph, graph.nodes.select(F.col("id").alias("src")), None, radius=widest)
+    weak = any_.join(a, "src").join(b, ["rep", "center", "v"]).groupBy("rep", "center").agg(F.max("d").alias("weak"))
+    arcs.unpersist()
+    return strong.join(weak, ["rep", "center"])
 
 
 def rounding_inflation(edges: DataFrame, unit_num: int, unit_den: int) -> DataFrame:

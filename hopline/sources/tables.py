@@ -42,3 +42,7 @@ def load_hopset(spark: SparkSession, path: str, scales: list[int] | None = None)
 def save_bucketed(df: DataFrame, table: str, key: str = "u", buckets: int = 8) -> None:
     """A catalogue table bucketed and sorted by ``key``: later joins on it need no exchange."""
     df.write.mode("overwrite").bucketBy(buckets, key).sortBy(key).saveAsTable(table)
+
+
+def load_bucketed(spark: SparkSession, table: str) -> DataFrame:
+    return spark.table(table)
