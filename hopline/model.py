@@ -27,6 +27,7 @@ class Graph:
     nodes: DataFrame
     edges: DataFrame
     in_task: bool = False
+    least_partitions: int = 1
     _held: dict = field(default_factory=dict, repr=False)
 
     @property
@@ -51,7 +52,7 @@ class Graph:
         would hold more than MOST_PER_PARTITION rows each."""
         rows = max(rows, 2 * self.m)
         asked = int(self.spark.conf.get("spark.sql.shuffle.partitions"))
-        return max(1, min(asked, ceil(rows / ROWS_PER_PARTITION)), ceil(rows / MOST_PER_PARTITION))
+        return max(self.least_partitions, min(asked, ceil(rows / ROWS_PER_PARTITION)), ceil(rows / MOST_PER_PARTITION))
 
     @property
     def arcs(self) -> DataFrame:

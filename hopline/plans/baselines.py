@@ -7,9 +7,9 @@ import math
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from hopline.functions.params import HopsetParams, check_rho, levels
+from hopline.functions.params import HopsetParams, check_rho, inner_eps, levels
 from hopline.functions.rand import chosen, u32
-from hopline.model import Graph, induced
+from hopline.model import HOPSET_SCHEMA, Graph, augment, components, induced
 from hopline.plans import one_task
 from hopline.plans.relax import exact, hop_limited, search
 from hopline.plans.rounds import Ledger
@@ -26,21 +26,23 @@ def plain_relaxation(graph: Graph, sources: DataFrame, ledger: Ledger | None = N
     return exact(graph, sources, ledger)
 
 
-def _nearest_upper(graph: Graph, upper: DataFrame, hops: int | None) -> DataFrame:
+def _nearest_upper(graph: Graph, upper: DataFrame, hops: int | None, radius: int | None = None) -> DataFrame:
     """(v, cap, pivot): distance to the nearest node of ``upper`` and the smallest such node."""
-    dist = hop_limited(graph, upper.select(F.col("id").alias("src")), hops)
+    dist = hop_limited(graph, upper.select(F.col("id").alias("src")), hops, radius=radius)
     best = dist.groupBy("v").agg(F.min(F.struct("d", "src")).alias("best"))
     return best.select("v", F.col("best.d").alias("cap"), F.col("best.src").alias("pivot"))
 
 
-def _edges(rows: DataFrame) -> DataFrame:
+def _edges(rows: DataFrame, scale: int = 0) -> DataFrame:
     best = rows.where("a <> b").groupBy(F.least("a", "b").alias("u"), F.greatest("a", "b").alias("v")).agg(F.min(F.struct("d", "kind")).alias("best"))
-    return best.select("u", "v", F.col("best.d").alias("w"), F.lit(0).alias("scale"), "best.kind", F.lit(0).alias("rep"), F.col("u").alias("center"))
+    return best.select("u", "v", F.col("best.d").alias("w"), F.lit(scale).alias("scale"), "best.kind", F.lit(0).alias("rep"), F.col("u").alias("center"))
 
 
-def _below_cap(graph: Graph, nodes: DataFrame, cap: DataFrame, hops: int | None) -> DataFrame:
-    """(src, cap, v, d, hops): nodes nearer to src than its cap, which the search carries as a key."""
-    start = nodes.select(F.col("id").alias("src"), F.col("id").alias("v")).join(cap.select(F.col("v").alias("src"), "cap"), "src", "left").withColumn("cap", F.coalesce("cap", F.lit(2**40)))
+def _below_cap(graph: Graph, nodes: DataFrame, cap: DataFrame, hops: int | None, radius: int | None = None) -> DataFrame:
+    """(src, cap, v, d, hops): nodes nearer to src than its cap and within ``radius``; the cap is a key of the search."""
+    most = F.lit(2**40 if radius is None else radius + 1)
+    caps = cap.select(F.col("v").alias("src"), "cap")
+    start = nodes.select(F.col("id").alias("src"), F.col("id").alias("v")).join(caps, "src", "left").withColumn("cap", F.least(F.coalesce("cap", most), most))
     rows = nodes.count() * graph.n
     if graph.in_task and one_task.fits(2 * graph.m, rows):
         return search(graph.arcs, start, ["src", "cap"], hops, 1, radius=F.col("cap") - 1, phase="bunch", nodes=graph.n, in_task=True)
@@ -48,45 +50,116 @@ def _below_cap(graph: Graph, nodes: DataFrame, cap: DataFrame, hops: int | None)
     return search(graph.arcs_in(p), start, ["src", "cap"], hops, p, radius=F.col("cap") - 1, phase="bunch", nodes=graph.n)
 
 
-def hierarchy_global(graph: Graph, k: float, eps: float = 1.0, rho: float = 0.5, seed: int = 42, hops: int | None = None) -> DataFrame:
-    """The general hierarchical hopset on the whole graph: level by level, a node's bunch of nearer nodes and its
-    pivot, the last level a clique. ``hops=None`` is the variant of constant hopbound and polynomial rounds."""
-    check_rho(rho)
+def _by_levels(graph: Graph, k: float, rho: float, seed: int, draw: int, hops: int | None, radius: int | None = None) -> DataFrame:
+    """(a, b, d, kind): of every sampled level a node's bunch of nearer nodes and its pivot, the last level a clique."""
     level, n, out = graph.nodes, graph.n, None
     for i in range(levels(k)):
         p = max(float(n) ** (-(2**i) / k), float(n) ** -rho)
-        upper = cut(level.where(chosen(p, seed, f"global{i}", F.lit(0), F.col("id"))), "level")
+        upper = cut(level.where(chosen(p, seed, f"global{i}", F.lit(draw), F.col("id"))), "level")
         if upper.isEmpty():
             break
-        cap = cut(_nearest_upper(graph, upper, hops), "caps")
+        cap = cut(_nearest_upper(graph, upper, hops, radius), "caps")
         low = level.join(upper, "id", "left_anti")
-        # Whoever lies on a path to a nearer node is nearer still, so searching below the source's cap is exact.
-        back = _below_cap(graph, low, cap, hops)
+        # Whoever lies on a path to a nearer node is nearer still, so searching below the source's cap loses none.
+        back = _below_cap(graph, low, cap, hops, radius)
         mine = back.join(level.withColumnRenamed("id", "v"), "v", "left_semi")
         bunch = mine.select(F.col("src").alias("a"), F.col("v").alias("b"), "d", F.lit("bunch").alias("kind"))
         pivots = low.join(cap.withColumnRenamed("v", "id"), "id").select(F.col("id").alias("a"), F.col("pivot").alias("b"), F.col("cap").alias("d"), F.lit("pivot").alias("kind"))
-        rows = bunch.unionByName(pivots)
+        rows = cut(bunch.unionByName(pivots), "bunches")
         out = rows if out is None else out.unionByName(rows)
         level = upper
-    top = hop_limited(graph, level.select(F.col("id").alias("src")), hops).join(level.withColumnRenamed("id", "v"), "v", "left_semi")
+    top = hop_limited(graph, level.select(F.col("id").alias("src")), hops, radius=radius).join(level.withColumnRenamed("id", "v"), "v", "left_semi")
     rows = top.select(F.col("src").alias("a"), F.col("v").alias("b"), "d", F.lit("top").alias("kind"))
-    return cut(_edges(rows if out is None else out.unionByName(rows)), "hierarchy")
+    return rows if out is None else out.unionByName(rows)
+
 
+class Scales:
+    """The scales of a hop-limited construction: for each, the graph with all edges made so far, on rounded weights.
+
+    At scale R weights are rounded up to units of eps' R / h, so a path of at most h edges and length in [R, 2R] is at
+    most 1 + eps' too long; eps' shares eps out over the scales, whose errors compound.
+    """
 
-def dense_two_level(graph: Graph, eps: float = 1.0, seed: int = 42, hops: int | None = None) -> DataFrame:
+    def __init__(self, graph: Graph, eps: float, hops: int):
+        self.graph, self.hops, self.eps = graph, hops, inner_eps(eps, graph.n)
+        self.made: DataFrame | None = None
+
+    def __iter__(self):
+        from hopline.plans.cover import eta, round_weights
+        from hopline.plans.hopset import least_scale, reach
+
+        graph, farthest, reached = self.graph, 0, False
+        graph.roots = cut(components(graph).select(F.col("comp").alias("src")).distinct(), "roots")
+        for kappa in range(least_scale(self.hops), 62):
+            union = augment(graph, self.made) if self.made is not None else graph
+            union.roots = graph.roots
+            if not reached:
+                farthest, reached = reach(union, self.hops)
+            if reached and 2**kappa >= 2 * farthest:
+                return
+            unit = eta(2**kappa, self.hops, self.eps)
+            rounded = Graph(graph.nodes, cut(round_weights(union, 2**kappa, self.hops, self.eps).select("u", "v", F.col("what").alias("w")), "rounded"), graph.in_task)
+            rounded.__dict__["n"] = graph.n
+            yield kappa, rounded, int(2 * 2**kappa * (1 + self.eps) / unit) + 1, unit
+            rounded.release()
+
+    def add(self, rows: DataFrame, kappa: int, unit) -> None:
+        """Takes (a, b, d, kind) in units; an edge is never shorter than its path."""
+        long = F.expr(f"(d * {unit.numerator} + {unit.denominator - 1}) div {unit.denominator}")
+        part = cut(_edges(rows.withColumn("d", long), kappa), "scale")
+        self.made = part if self.made is None else self.made.unionByName(part)
+
+
+def hierarchy_global(graph: Graph, k: float, eps: float = 1.0, rho: float = 0.5, seed: int = 42, hops: int | None = None, drop_scales: bool = False) -> DataFrame:
+    """The general hierarchical hopset on the whole graph.
+
+    ``hops=None``: the variant of constant hopbound and polynomial rounds, one run on exact distances without scales.
+    With ``hops``: the efficient variant, scale by scale, every search limited to that many hops over the graph and the
+    edges of smaller scales, (1 + eps') each; ``rho`` bounds from below how thin a level is sampled, and so the rows that
+    a node holds in a round. ``drop_scales`` draws the same levels at every scale and keeps one edge a pair, which saves
+    the factor log n in size.
+    """
+    check_rho(rho)
+    if hops is None:
+        return cut(_edges(_by_levels(graph, k, rho, seed, 0, None)), "hierarchy")
+    scales = Scales(graph, eps, hops)
+    for kappa, rounded, radius, unit in scales:
+        scales.add(_by_levels(rounded, k, rho, seed, 0 if drop_scales else kappa, hops, radius), kappa, unit)
+    out = scales.made if scales.made is not None else graph.spark.createDataFrame([], HOPSET_SCHEMA)
+    if drop_scales:
+        best = out.groupBy("u", "v").agg(F.min(F.struct("w", "kind", "scale")).alias("best"))
+        out = best.select("u", "v", "best.w", F.lit(0).alias("scale"), "best.kind", F.lit(0).alias("rep"), F.col("u").alias("center"))
+    return cut(out, "hierarchy")
+
+
+def dense_two_level(graph: Graph, eps: float | None = None, seed: int = 42, hops: int | None = None) -> DataFrame:
     """The dense structure: a sample A of about sqrt n nodes; every node to all nodes nearer than its nearest A-node
-    and to that node; all pairs of A. Size about n^1.5."""
+    and to that node; all pairs of A. Size about n^1.5.
+
+    Without ``eps`` the pairs of A have exact distances. With it they come scale by scale from searches of at most
+    ``hops`` (default log n / eps) hops over the graph, the near edges and the pairs of smaller scales.
+    """
     n = graph.n
     a = cut(graph.nodes.where(chosen(n**-0.5, seed, "dense", F.lit(0), F.col("id"))), "sample")
     if a.isEmpty():
         a = cut(graph.nodes.orderBy("id").limit(1), "sample")
-    to_a = cut(hop_limited(graph, a.select(F.col("id").alias("src")), hops), "to_a")
-    cap = cut(to_a.groupBy("v").agg(F.min(F.struct("d", "src")).alias("best")).select("v", F.col("best.d").alias("cap"), F.col("best.src").alias("pivot")), "caps")
-    bunch = _below_cap(graph, graph.nodes, cap, hops)
+    cap = cut(_nearest_upper(graph, a, None), "caps")
+    bunch = _below_cap(graph, graph.nodes, cap, None)
     rows = bunch.where("src <> v").select(F.col("src").alias("a"), F.col("v").alias("b"), "d", F.lit("bunch").alias("kind"))
-    rows = rows.unionByName(cap.select(F.col("v").alias("a"), F.col("pivot").alias("b"), F.col("cap").alias("d"), F.lit("pivot").alias("kind")))
-    both = to_a.join(a.withColumnRenamed("id", "v"), "v", "left_semi").select(F.col("src").alias("a"), F.col("v").alias("b"), "d", F.lit("top").alias("kind"))
-    return cut(_edges(rows.unionByName(both)), "dense")
+    near = cut(rows.unionByName(cap.select(F.col("v").alias("a"), F.col("pivot").alias("b"), F.col("cap").alias("d"), F.lit("pivot").alias("kind"))), "near")
+    sources, ends = a.select(F.col("id").alias("src")), a.withColumnRenamed("id", "v")
+
+    def pairs(dist: DataFrame) -> DataFrame:
+        return dist.join(ends, "v", "left_semi").select(F.col("src").alias("a"), F.col("v").alias("b"), "d", F.lit("top").alias("kind"))
+
+    if eps is None:
+        return cut(_edges(near.unionByName(pairs(hop_limited(graph, sources, hops)))), "dense")
+    scales = Scales(graph, eps, hops or max(4, math.ceil(math.log2(max(2, n)) / eps)))
+    scales.made = cut(_edges(near), "near")
+    for kappa, rounded, radius, unit in scales:
+        scales.add(pairs(hop_limited(rounded, sources, scales.hops, radius=radius)), kappa, unit)
+    best = scales.made.groupBy("u", "v").agg(F.min(F.struct("w", "kind", "scale")).alias("best"))
+    return cut(best.select("u", "v", "best.w", "best.scale", "best.kind", F.lit(0).alias("rep"), F.col("u").alias("center")), "dense")
 
 
 def bunch_oracle(graph: Graph, k: int, seed: int = 42) -> tuple[DataFrame, DataFrame]:
@@ -172,23 +245,12 @@ def small_clique(graph: Graph, params: HopsetParams):
 
 
 def recursive_small(graph: Graph, members: DataFrame, sized: DataFrame, params: HopsetParams, kappa: int) -> DataFrame:
-    """Recursion on small clusters: each is split again by a finer partition inside it (a quarter of the width);
-    parts get cliques, and the parts' centres a clique within the cluster. What the main method avoids."""
-    from hopline.plans.local_hopset import at_centers
+    """Recursion on small clusters, which the main method avoids: each is split around hubs, hubs get a clique and a star
+    each, and every part is treated the same way, down to parts of a few nodes."""
+    from hopline.plans.local_hopset import at_centers, recursive_edges
 
     small = members.join(sized.where("not is_big").where("size > 1").select("rep", "center"), ["rep", "center"])
-    own = cut(induced(graph, small), "induced")
-    # Finer parts: every member goes to the sampled hub of its cluster that its own tree length is closest to.
-    hubs = small.where(u32(params.seed + kappa, "hub", F.col("rep"), F.col("v")) % 4 == 0).select("rep", "center", F.col("v").alias("hub"), F.col("dtree").alias("dh"))
-    near = small.join(hubs, ["rep", "center"]).groupBy("rep", "center", "v").agg(F.min(F.struct(F.abs(F.col("dtree") - F.col("dh")).alias("gap"), "hub")).alias("best"))
-    part = small.join(near, ["rep", "center", "v"], "left").select("rep", "center", "v", F.coalesce("best.hub", "center").alias("part"))
-    cliques = at_centers(own, params.k, params.seed, clique=True)
-    a, b = (part.select("rep", "center", F.col("v").alias(e), F.col("part").alias(f"p{e}")) for e in "uv")
-    tagged = cliques.join(a, ["rep", "center", "u"]).join(b, ["rep", "center", "v"])
-    hub_ends = part.select("rep", "center", F.col("part").alias("u")).distinct()
-    inner = tagged.where("pu = pv").select("rep", "center", "u", "v", "w", F.lit("inner").alias("kind"))
-    outer = cliques.join(hub_ends, ["rep", "center", "u"], "left_semi").join(hub_ends.withColumnRenamed("u", "v"), ["rep", "center", "v"], "left_semi").select("rep", "center", "u", "v", "w", F.lit("outer").alias("kind"))
-    return inner.unionByName(outer)
+    return at_centers(cut(induced(graph, small), "induced"), params.k, params.seed + kappa, make=recursive_edges)
 
 
 def ball_growing_cover(graph: Graph, width: int, ell: int, growth: float = 0.5, seed: int = 42, max_phases: int = 200) -> DataFrame:
@@ -220,6 +282,8 @@ def ball_growing_cover(graph: Graph, width: int, ell: int, growth: float = 0.5,
         rest.release()
         out = claimed if out is None else out.unionByName(claimed)
         left = cut(left.join(claimed.select(F.col("v").alias("id")), "id", "left_anti"), "left")
+    if not left.isEmpty():
+        raise RuntimeError(f"nodes without a cluster after {max_phases} phases")
     return out
 
 
@@ -239,26 +303,3 @@ def rounded_search(graph: Graph, big_r: int, ell: int, eps0: float, sources: Dat
     rounded = Graph(graph.nodes, round_weights(graph, big_r, ell, eps0).select("u", "v", F.col("what").alias("w")))
     dist = hop_limited(rounded, sources, ell)
     return dist.select("src", "v", (F.col("d") * unit.numerator / unit.denominator).alias("d"))
-
-
-def transshipment_sssp(graph: Graph, source: int, eps: float = 0.5, rounds: int = 60) -> DataFrame:
-    """(v, potential): dual potentials from multiplicative weights, for one source.
-
-    Potentials are raised on edges in proportion to a soft-max of their stretch and scaled to feasibility
-    (|pi_u - pi_v| <= w) at the end, so each is a lower bound of the distance; quality grows with ``rounds``.
-    """
-    spark = graph.spark
-    start = exact(graph, spark.createDataFrame([(source,)], "src long"))
-    hops = start.select(F.col("v").alias("id"), F.col("hops").cast("double").alias("pi"))
-    arcs = graph.arcs
-    state = cut(hops, "pi")
-    for t in range(rounds):
-        row = arcs.join(state.select(F.col("id").alias("u"), F.col("pi").alias("pu")), "u")
-        ahead = row.groupBy("v").agg(F.min(F.col("pu") + F.col("w")).alias("cap"))
-        step = state.join(ahead.withColumnRenamed("v", "id"), "id")
-        state = step.select("id", F.when(F.col("id") == source, 0.0).otherwise(F.least("cap", F.col("pi") + (F.col("cap") - F.col("pi")) * (1 - eps / 2))).alias("pi"))
-        if t % 4 == 3:
-            state = cut(state, "pi")
-    ends = [state.select(F.col("id").alias(c), F.col("pi").alias(f"p{c}")) for c in "uv"]
-    worst = graph.edges.join(ends[0], "u").join(ends[1], "v").agg(F.max(F.abs(F.col("pu") - F.col("pv")) / F.col("w"))).first()[0] or 1.0
-    return state.select(F.col("id").alias("v"), F.round(F.col("pi") / F.lit(max(1.0, worst)), 6).alias("potential"))

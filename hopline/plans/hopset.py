@@ -107,7 +107,9 @@ def small_edges(graph: Graph, members: DataFrame, sized: DataFrame, params: Hops
     small = members.join(sized.where("not is_big").where("size > 1").select("rep", "center"), ["rep", "center"])
     own = cut(induced(graph, small), "induced")
     clique = params.small == "clique"
-    heavy = own.groupBy("rep", "center").agg(F.count("*").alias("e")).where(F.col("e") > params.local_edge_cap).select("rep", "center")
+    size = sized.where("not is_big").select("rep", "center", "size")
+    pairs = F.col("size").cast("double") * F.col("size") > params.local_edge_cap  # one task holds all distances of a cluster
+    heavy = own.groupBy("rep", "center").agg(F.count("*").alias("e")).join(size, ["rep", "center"]).where((F.col("e") > params.local_edge_cap) | pairs).select("rep", "center")
     if heavy.isEmpty():
         return at_centers(own, params.k, seed, clique)
     light = at_centers(own.join(heavy, ["rep", "center"], "left_anti"), params.k, seed, clique)

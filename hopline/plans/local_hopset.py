@@ -71,12 +71,55 @@ def cluster_edges(edges: list[tuple[int, int, int]], rep: int, center: int, k: f
     return [(u, v, w, kind) for (u, v), (w, kind) in sorted(out.items())]
 
 
-def at_centers(induced: DataFrame, k: float, seed: int, clique: bool = False) -> DataFrame:
+def recursive_edges(edges: list[tuple[int, int, int]], rep: int, center: int, k: float, seed: int, clique: bool = False, least: int = 6) -> list[tuple[int, int, int, str]]:
+    """Shortcut edges of one cluster by recursion: about sqrt s hubs, a clique of hubs, a star in each hub's part, then the
+    parts themselves; parts of at most ``least`` nodes become cliques."""
+    near: dict[int, list[tuple[int, int]]] = {}
+    for u, v, w in edges:
+        near.setdefault(u, []).append((v, w))
+        near.setdefault(v, []).append((u, w))
+    out: dict[tuple[int, int], tuple[int, str]] = {}
+
+    def add(a: int, b: int, d: int, kind: str) -> None:
+        e = (min(a, b), max(a, b))
+        out[e] = min(out.get(e, (d, kind)), (d, kind))
+
+    def split(nodes: list[int], level: int) -> None:
+        inside = set(nodes)
+        own = {x: [(y, w) for y, w in near.get(x, ()) if y in inside] for x in nodes}
+        hubs = [x for x in nodes if _draw(seed, level, rep, center, x) < 2**32 / len(nodes) ** 0.5]
+        if len(nodes) <= least or len(hubs) < 2 or len(hubs) == len(nodes):
+            hubs = nodes
+        lengths = {h: _lengths(own, h) for h in hubs}
+        kind = "inner" if hubs is nodes else "outer"
+        for i, a in enumerate(hubs):
+            for b in hubs[i + 1 :]:
+                if b in lengths[a]:
+                    add(a, b, lengths[a][b], kind)
+        if hubs is nodes:
+            return
+        parts: dict[int, list[int]] = {}
+        for x in nodes:
+            home = min(((lengths[h][x], h) for h in hubs if x in lengths[h]), default=None)
+            if home is None:  # cut off from every hub
+                continue
+            parts.setdefault(home[1], []).append(x)
+            if x != home[1]:
+                add(x, home[1], home[0], "hub")
+        for part in parts.values():
+            if 1 < len(part) < len(nodes):
+                split(part, level + 1)
+
+    split(sorted(near), 0)
+    return [(u, v, w, kind) for (u, v), (w, kind) in sorted(out.items())]
+
+
+def at_centers(induced: DataFrame, k: float, seed: int, clique: bool = False, make=cluster_edges) -> DataFrame:
     """One task computes a whole small cluster: the paper's shipping of a cluster to its centre is one exchange."""
 
     def run(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
         rep, center = int(key[0]), int(key[1])
-        made = cluster_edges(list(rows[["u", "v", "w"]].itertuples(index=False, name=None)), rep, center, k, seed, clique)
+        made = make(list(rows[["u", "v", "w"]].itertuples(index=False, name=None)), rep, center, k, seed, clique)
         return pd.DataFrame([(rep, center, *e) for e in made], columns=["rep", "center", "u", "v", "w", "kind"])
 
     return induced.groupBy("rep", "center").applyInPandas(run, SCHEMA)

@@ -33,10 +33,11 @@ def source_detection(graph: Graph, sources: DataFrame, hops: int, top: int | Non
 
 
 def approx(graph: Graph, sources: DataFrame, eps: float, hops: int | None = None, allow_many: bool = False) -> DataFrame:
-    """(1 + eps) distances from O(sqrt n) sources through the dense two-level structure, whose edges are dropped."""
+    """(1 + eps) distances from O(sqrt n) sources through the dense two-level structure, whose edges are dropped; by
+    default log^2 n / eps rounds."""
     from hopline.plans.baselines import dense_two_level
 
-    aux = dense_two_level(graph, seed=7)
+    aux = dense_two_level(graph, eps, seed=7)
     n = max(2, graph.n)
     rounds = hops or max(4, math.ceil(math.log2(n) ** 2 / eps))
     return source_detection(augment(graph, aux), sources, rounds, allow_many=allow_many)
