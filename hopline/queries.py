@@ -335,7 +335,7 @@ def _(s, d):
     """Strong and weak diameters: the weak one is no longer, and the strong one at most twice the tree's depth."""
     radius = verify.cluster_diameters(mesh_cover(s, d), "tree").select("rep", "center", "radius")
     both = verify.true_diameters(graph(s, d, "part_mesh").compact(), mesh_cover(s, d)).join(radius, ["rep", "center"])
-    return both.agg(F.count("*").alias("clusters"), F.count_if("weak > strong").alias("weak_longer"), F.count_if("strong > 2 * radius").alias("too_wide"))
+    return both.agg(F.count("*").alias("clusters"), F.count_if(F.expr("weak > strong")).alias("weak_longer"), F.count_if(F.expr("strong > 2 * radius")).alias("too_wide"))
 
 
 @query("cover_unlimited_paths")
@@ -345,7 +345,7 @@ def _(s, d):
     g = graph(s, d, SMALL).compact()
     members = cut(cover.neighborhood(g, 6.0, 24, seed=9), "members")
     near = relax.ball(g, hash_sources(g), 6).where("src <> v").select("src", "v")
-    return verify.containment(members, near).agg(F.count("*").alias("pairs"), F.count_if("not held").alias("missed"))
+    return verify.containment(members, near).agg(F.count("*").alias("pairs"), F.count_if(F.expr("not held")).alias("missed"))
 
 
 @query("cover_overlap")
@@ -432,7 +432,7 @@ def _(s, d):
     centers = hopsets.split_clusters(cover.limited_pairwise(g, 32, 4, 1.0, 1, 42, 1.0), g.n, 0.5)
     approx = hopsets.center_clique(g, centers, 40, weights="approx", eps=0.5)
     exact = hopsets.center_clique(g, centers, None).select(F.col("u").alias("src"), "v", F.col("w").alias("d"))
-    return flags(exact, approx.select(F.col("u").alias("src"), "v", F.col("w").alias("d")), 1.5).agg(F.count_if("not sound").alias("too_short"), F.count_if("not within").alias("too_long"))
+    return flags(exact, approx.select(F.col("u").alias("src"), "v", F.col("w").alias("d")), 1.5).agg(F.count_if(F.expr("not sound")).alias("too_short"), F.count_if(F.expr("not within")).alias("too_long"))
 
 
 def built(s, d, name: str, p: HopsetParams = TEST) -> hopsets.HopsetResult:
@@ -480,15 +480,15 @@ def _hopset_queries(tag: str) -> None:
         g = b.graph
         bound = params.bounds("main_size", n=g.n, k=p.k)
         once = b.edges.groupBy("scale", "u", "v").agg(F.count("*").alias("k"))
-        row = b.edges.agg((F.count("*") <= bound).alias("within_bound"), F.count_if("u >= v").alias("not_canonical"))
-        return row.join(once.agg(F.count_if("k > 1").alias("twice"))).select(F.lit(g.n).cast("long").alias("n"), F.lit(g.m).cast("long").alias("m"), "*")
+        row = b.edges.agg((F.count("*") <= bound).alias("within_bound"), F.count_if(F.expr("u >= v")).alias("not_canonical"))
+        return row.join(once.agg(F.count_if(F.expr("k > 1")).alias("twice"))).select(F.lit(g.n).cast("long").alias("n"), F.lit(g.m).cast("long").alias("m"), "*")
 
     def ledger(s, d):
         """Rounds of each phase against what bounds them: searches 2 beta + 1 at each scale, partitions the widest radius."""
         b = built(s, d, name, p)
         per = b.ledger.frame(s).groupBy("phase", "scale").agg(F.count("*").alias("rounds"), F.max("round").alias("last"), F.min("improved").alias("least"), F.min(F.col("messages") - F.col("improved")).alias("spare"))
         own = F.when(F.col("phase") == "partition", F.lit(2**31)).otherwise(2 * b.beta + 1)
-        return per.agg(F.count_if(F.col("last") > own).alias("too_many_rounds"), F.count_if("least <= 0").alias("idle_rounds"), F.count_if("spare < 0").alias("unsent"))
+        return per.agg(F.count_if(F.col("last") > own).alias("too_many_rounds"), F.count_if(F.expr("least <= 0")).alias("idle_rounds"), F.count_if(F.expr("spare < 0")).alias("unsent"))
 
     QUERIES[f"hopset_{tag}"] = lambda s, d: built(s, d, name, p).edges
     QUERIES.update({f"hopset_{what}_{tag}": f for what, f in (("size", size), ("sound", sound), ("stretch", stretch), ("scale_error", scale_error), ("hopbound", hopbound), ("ledger", ledger))})
@@ -621,7 +621,7 @@ def _dense_mesh(s, d) -> DataFrame:
 def _(s, d):
     """Its size against n^1.5 log n."""
     g, e = graph(s, d, "part_mesh"), _dense_mesh(s, d)
-    return e.agg((F.count("*") <= F.lit(params.bounds("rich_size", n=g.n))).alias("within_bound"), F.count_if("u >= v").alias("not_canonical"))
+    return e.agg((F.count("*") <= F.lit(params.bounds("rich_size", n=g.n))).alias("within_bound"), F.count_if(F.expr("u >= v")).alias("not_canonical"))
 
 
 @query("mssp_approx_mesh")
