@@ -173,7 +173,10 @@ def bunch_oracle(graph: Graph, k: int, seed: int = 42) -> tuple[DataFrame, DataF
         cap = cut(_nearest_upper(graph, nxt, None), "caps") if i < k - 1 and not nxt.isEmpty() else None
         # x in A_i \ A_{i+1} grows its cluster: nodes v nearer to x than to A_{i+1}; closed along shortest paths to x.
         low = level.join(nxt, "id", "left_anti")
-        grow = search(graph.arcs, low.select(F.col("id").alias("src"), F.col("id").alias("v")), ["src"], None, graph.partitions, prune=cap.select("v", "cap") if cap is not None else None, phase="bunch", nodes=graph.n)
+        rows = low.count() * graph.n
+        inside = graph.in_task and one_task.fits(2 * graph.m, rows)
+        p = 1 if inside else graph.partitions_for(rows)
+        grow = search(graph.arcs_in(p), low.select(F.col("id").alias("src"), F.col("id").alias("v")), ["src"], None, p, prune=cap.select("v", "cap") if cap is not None else None, phase="bunch", nodes=graph.n, in_task=inside)
         rows = grow.select("v", F.col("src").alias("x"), "d")
         if cap is not None:
             rows = rows.join(cap.select("v", "cap"), "v", "left").where("cap is null or d < cap").drop("cap")

@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from hopline.functions.params import padding_bound
 from hopline.model import Graph, augment, induced
 from hopline.operators.components import connected_labels
+from hopline.plans import one_task
 from hopline.plans.relax import exact, hop_limited, search
 from hopline.session import cut
 
@@ -123,9 +124,11 @@ def true_diameters(graph: Graph, members: DataFrame) -> DataFrame:
     own = cut(induced(graph, members), "own")
     both = own.unionByName(own.select("rep", "center", F.col("v").alias("u"), F.col("u").alias("v"), "w"))
     start = members.select("rep", "center", F.col("v").alias("src"), "v")
-    p = graph.partitions_for(start.count())
+    rows = start.count()
+    in_task = graph.in_task and one_task.fits(2 * own.count(), rows * graph.n)
+    p = 1 if in_task else graph.partitions_for(rows)
     arcs = both.repartition(p, "u").persist()
-    inside = search(arcs, start, keys, None, p, arc_keys=("rep", "center"), nodes=graph.n)
+    inside = search(arcs, start, keys, None, p, arc_keys=("rep", "center"), nodes=graph.n, in_task=in_task)
     strong = inside.groupBy("rep", "center").agg(F.max("d").alias("strong"))
     a, b = members.select("rep", "center", F.col("v").alias("src")), members.select("rep", "center", "v")
     # Within a cluster no pair is further apart in the graph than inside, so a search up to the widest cluster sees all.

@@ -662,7 +662,7 @@ def _(s, d):
 @query("bunch_oracle")
 def _(s, d):
     g = graph(s, d, SMALL)
-    bunches, pivots = baselines.bunch_oracle(g, 2)
+    bunches, pivots = baselines.bunch_oracle(g.compact(), 2)
     t = relax.exact(g.compact(), root_sources(g)).where("src <> v").select("src", "v", "d")
     got = baselines.oracle_query(bunches, pivots, t.select("src", "v"), 2).withColumnRenamed("d", "e")
     return t.join(got, ["src", "v"], "left").select("src", "v", F.col("d").alias("d_exact"), (F.col("e") >= F.col("d")).alias("sound"), (F.col("e") <= 3 * F.col("d")).alias("within"))

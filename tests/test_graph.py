@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 from hopline import model
 from hopline.functions.params import Budget, HopsetParams, bounds, check_gamma, check_rho, levels, padding_bound
 from hopline.plans import baselines, cover, hopset, local_hopset, mssp, relax, verify
+from hopline.plans.rounds import Ledger
 from hopline.session import setting
 from hopline.streaming.edges import maintain
 
@@ -93,8 +94,66 @@ def test_hops_never_run_into_distances(spark, monkeypatch):
     with pytest.raises(OverflowError):
         relax.search(g.arcs, relax.seeds(start), ["src"], None, g.partitions)
     assert verify.effective_hopbound(g, None, start, 0.0) == 40
-    with pytest.raises(Exception, match="exceeds the packed state"):
-        relax.exact(make(spark, [(1, 2, 2**62)]), sources(spark, 1)).collect()
+    for far in (make(spark, [(1, 2, 2**62)]), make(spark, [(1, 2, 2**62)]).compact()):
+        with pytest.raises(Exception, match="exceeds the packed state"):
+            relax.exact(far, sources(spark, 1)).collect()
+
+
+def test_more_rounds_than_twelve_bits_hold(spark):
+    g = make(spark, [(i, i + 1, 1) for i in range(5000)]).compact()
+    assert sorted((r.v, r.d, r.hops) for r in relax.exact(g, sources(spark, 0)).collect()) == [(i, i, i) for i in range(5001)]
+
+
+def test_ledger_counts_rounds_and_offers(spark):
+    edge, path, star = make(spark, [(1, 2, 3)]), make(spark, [(i, i + 1, 1) for i in range(20)]), make(spark, [(0, i, i) for i in range(1, 6)])
+    for g, start, rounds, improved, offers in ((edge, 1, 1, 1, 1), (path, 0, 20, 20, 39), (star, 0, 1, 5, 5)):
+        for h in (g, g.compact()):
+            ledger = Ledger()
+            relax.exact(h, sources(spark, start), ledger)
+            assert (ledger.rounds(), sum(r[4] for r in ledger.rows), ledger.messages()) == (rounds, improved, offers)
+
+
+def test_one_task_equals_rounds(spark):
+    g = make(spark, grid(6))
+    a, b = Ledger(), Ledger()
+    x, y = cover.partition(g, 0.1, 5, 2, ledger=a), cover.partition(g.compact(), 0.1, 5, 2, ledger=b)
+    assert x.exceptAll(y).isEmpty() and y.exceptAll(x).isEmpty() and [r[:6] for r in a.rows] == [r[:6] for r in b.rows]
+    p = HopsetParams(beta=2, reps=1, segments=4, ell=3, rate=1.0)
+    x, y = (hopset.build(g, p.but(in_task=t), max_scale=2) for t in (False, True))
+    assert x.edges.exceptAll(y.edges).isEmpty() and y.edges.exceptAll(x.edges).isEmpty()
+    assert [r[:6] for r in x.ledger.rows] == [r[:6] for r in y.ledger.rows]
+
+
+def test_hubs_are_cut_into_slices(spark, monkeypatch):
+    monkeypatch.setattr(relax, "HUB", 10)
+    monkeypatch.setattr(model, "MOST_PER_PARTITION", 20)
+    rows = [(0, i, i % 7 + 1) for i in range(1, 61)] + [(i, i + 1, 1) for i in range(1, 60)]
+    g = make(spark, rows)
+    assert table(relax.exact(g, sources(spark, 5, 40))) == {(s, v): d for s in (5, 40) for v, d in lengths(rows, s).items()}
+    hubs = relax.hubs_of(g)
+    arcs = relax.Arcs(g.arcs_in(4), hubs, 4)
+    assert arcs.leaving.groupBy("u", "slice").count().agg(F.max("count")).first()[0] <= 20 and arcs.plain.where("u = 0 or v = 0").isEmpty()
+
+
+def test_no_hopbound_within_the_limit(spark):
+    g, start = make(spark, [(i, i + 1, 1) for i in range(9)]), sources(spark, 0)
+    assert verify.effective_hopbound(g, None, start, 0.0, most=5) is None and verify.effective_hopbound(g, None, start, 0.0) == 9
+
+
+def test_default_parameters_build(spark):
+    g = make(spark, grid(8))
+    b = hopset.build(g, HopsetParams())
+    assert b.beta > 0 and verify.sound(g, b.edges).isEmpty()
+
+
+def test_competitors_keep_their_stretch(spark):
+    rows = grid(7)
+    g, src = make(spark, rows).compact(), sources(spark, 0, 24)
+    truth = {(s, v): d for s in (0, 24) for v, d in lengths(rows, s).items()}
+    for edges in (baselines.dense_two_level(g, 0.5, hops=3), baselines.hierarchy_global(g, 3, 0.5, hops=4), baselines.hierarchy_global(g, 3, 0.5, hops=4, drop_scales=True)):
+        assert verify.sound(g, edges).isEmpty()
+        got = table(relax.hop_limited(model.augment(g, edges), src, 9))
+        assert all(d <= got[k] <= 1.5 * d for k, d in truth.items())
 
 
 def test_delta_equals_full_and_partitions_do_not_matter(spark):
@@ -131,7 +190,9 @@ def test_cover_properties(spark):
     g = make(spark, grid(9))
     members = cover.limited_pairwise(g, 16, 4, 1.0, 3, 1, 1.0)
     assert {r["count"] for r in members.groupBy("rep").count().collect()} == {81}
-    assert verify.connected_members(g, members).isEmpty()
+    assert verify.connected_members(g, members).where("pieces <> 1").isEmpty()
+    stray = spark.createDataFrame([(0, 0, 0, 0), (0, 0, 0, 1), (0, 0, 0, 44), (0, 0, 0, 45)], "scale int, rep int, center long, v long")
+    assert [r.pieces for r in verify.connected_members(g, stray).collect()] == [2]
     assert members.where("dtree < 0 or (v = center and dtree <> 0)").isEmpty()
 
 
@@ -169,7 +230,7 @@ def test_hopset_is_sound_and_shortens(spark, small):
     assert verify.effective_hopbound(g, b.edges, src, 0.5) < verify.effective_hopbound(g, None, src, 0.5)
     got = verify.stretch(truth, mssp.many(g, b.edges, src, 40), 0.5).first()
     assert got.too_short == 0 and got.max_stretch == 1.0
-    assert {r.kind for r in b.edges.select("kind").distinct().collect()} & {"bunch", "clique", "inner", "star"}
+    assert {r.kind for r in b.edges.select("kind").distinct().collect()} & {"bunch", "clique", "inner", "hub", "star"}
 
 
 def test_same_seed_same_rows(spark):
