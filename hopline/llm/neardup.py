@@ -45,7 +45,7 @@ WIDTH = 5
 NUMERATOR, DENOMINATOR = 85, 100
 MISS = 1e-4
 LINK = "a binary, b binary"  # classes are named by the 128-bit digest of their set
-BLOCK, BLOCK_BYTES, SMALL = 2048, 48 << 20, 24
+BLOCK, BLOCK_BYTES, SMALL = 512, 48 << 20, 24
 _FACTORS = np.random.default_rng(20240607).integers(1, 2**63, HASHES, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
 
