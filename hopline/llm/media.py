@@ -34,6 +34,7 @@ from pyspark.sql import functions as F
 from hopline.session import cut
 
 ROW, REMEMBERED = 64, 1_000_000
+HOT, HOT_LEAST = 10_000, 200
 SEQUENCE = "array<struct<pos:int,kind:string,text:string,digest:string>>"
 _TAG = re.compile(r"<(?:!--.*?(?:--|$)|(/?)([a-zA-Z][a-zA-Z0-9]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*))>", re.S)
 _ATTRIBUTE = re.compile(r"([a-zA-Z-]+)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))")
@@ -196,9 +197,14 @@ def features(store: DataFrame) -> DataFrame:
 
 
 def resolve(sequence: DataFrame, keys: list[str], feats: DataFrame) -> DataFrame:
-    """Every media reference with its position, caption and the features that its digest leads to."""
-    ref = sequence.select(*keys, F.explode("sequence").alias("s")).where("s.kind = 'media'").select(*keys, "s.pos", F.col("s.text").alias("caption"), "s.digest")
-    return ref.join(feats, "digest", "left")
+    """Every media reference with its position, caption and the features that its digest leads to. Payloads that very many
+    references share (at most ``HOT``) are joined by broadcast, so their references don't meet in one task."""
+    ref = cut(sequence.select(*keys, F.explode("sequence").alias("s")).where("s.kind = 'media'").select(*keys, "s.pos", F.col("s.text").alias("caption"), "s.digest"), "references")
+    feats = cut(feats, "features")
+    most = max(HOT_LEAST, ref.count() // HOT)
+    hot = F.broadcast(cut(ref.groupBy("digest").agg(F.count("*").alias("n")).where(F.col("n") > most).select("digest"), "hot"))
+    shared = ref.join(hot, "digest", "left_semi").join(F.broadcast(feats.join(hot, "digest", "left_semi")), "digest", "left")
+    return ref.join(hot, "digest", "left_anti").join(feats, "digest", "left").unionByName(shared)
 
 
 def _page(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
